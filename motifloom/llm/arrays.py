@@ -153,14 +153,16 @@ def pairs(h: np.ndarray, first: np.ndarray, gap: int) -> tuple[np.ndarray, np.nd
 
 
 def unique_per_text(values: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct values of each text and their offsets."""
-    owner = np.repeat(np.arange(len(offsets) - 1), np.diff(offsets))
-    order = np.lexsort((values, owner)) if len(offsets) > 2 else np.argsort(values, kind="stable")
-    v, o = values[order], owner[order]
+    """Sorted distinct values of each text and their offsets; sorts text by text, within the cache."""
+    v = values.copy()
+    for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist()):
+        v[a:b].sort()
     keep = np.ones(len(v), bool)
-    keep[1:] = (v[1:] != v[:-1]) | (o[1:] != o[:-1])
+    keep[1:] = v[1:] != v[:-1]
+    keep[offsets[:-1][np.diff(offsets) > 0]] = True
     out = np.zeros(len(offsets), np.int64)
-    np.cumsum(np.bincount(o[keep], minlength=len(offsets) - 1), out=out[1:])
+    np.cumsum(keep, out=(total := np.zeros(len(v) + 1, np.int64))[1:])
+    out[:] = total[offsets]
     return v[keep], out
 
 
