@@ -6,10 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifloom.llm import chat, decontaminate, exact_dedup, mixing, near_dedup, toxicity, warc
+from motifloom.llm import chat, decontaminate, exact_dedup, line_dedup, mixing, near_dedup, secret_scan, toxicity, warc
 from motifloom.llm.common import table
 
 
+def op1_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_scan.scan(table(spark, sf_dir, "documents"))
+
+
 def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"), keep="largest").drop("n_bytes")
 
@@ -23,6 +27,10 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.train(docs, labels))
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.report(table(spark, sf_dir, "documents"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.taken_words(table(spark, sf_dir, "documents"))
 
@@ -42,7 +50,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_exact_dedup, op4_warc, op5_toxicity, op7_mixing, op8_decontaminate, op9_chat, op10_near_dedup)}
+    return {f.__name__: f for f in (op1_secrets, op2_exact_dedup, op4_warc, op5_toxicity, op6_line_dedup, op7_mixing, op8_decontaminate, op9_chat, op10_near_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
