@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from motifloom.llm import chat, decontaminate, exact_dedup, line_dedup, mixing, near_dedup, secret_scan, toxicity, warc
+from motifloom.llm import chat, decontaminate, exact_dedup, line_dedup, mixing, near_dedup, pii, secret_scan, toxicity, warc
 from motifloom.llm.common import table
 
 
@@ -18,6 +18,10 @@ def op2_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.exact_dedup(table(spark, sf_dir, "documents"), keep="largest").drop("n_bytes")
 
 
+def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.scan(table(spark, sf_dir, "documents"))
+
+
 def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     return warc.round_trip(table(spark, sf_dir, "pages"), min_revisit=0).drop("status")
 
@@ -50,7 +54,7 @@ def op10_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_secrets, op2_exact_dedup, op4_warc, op5_toxicity, op6_line_dedup, op7_mixing, op8_decontaminate, op9_chat, op10_near_dedup)}
+    return {f.__name__: f for f in (op1_secrets, op2_exact_dedup, op3_pii, op4_warc, op5_toxicity, op6_line_dedup, op7_mixing, op8_decontaminate, op9_chat, op10_near_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
