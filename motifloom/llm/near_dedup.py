@@ -6,10 +6,13 @@ chunk is indexed under every choice of that many symbols left out: all pairs wit
 share a key. At a similarity of 0.75 the number of differing symbols is binomial(36, 0.25), and a
 distance of 17 misses a pair with a probability below 0.001; more similar pairs fare better.
 
-Work stays linear in groups of copies: documents with equal shingle sets collapse into one
-representative; in the first round each key links its members to its smallest one only; the second
-round compares all pairs of a key that the first left in different components. Every link is
-confirmed on the full shingle sets. Only components are expanded, never pairs.
+Rows stay linear in groups of copies. Documents with equal shingle sets collapse into one
+representative. In the first round each key links its members to its smallest one only. The second
+round takes the keys whose members are then still in different components and settles every pair
+there that is within the distance: members meet in cells of bounded size, a first pass on signatures
+says which of them have such a pair (each pair is settled at the first key that it shares), and a
+second pass compares the full shingle sets of those and gives out only links that join components.
+Every link is confirmed on the full shingle sets; pairs are never rows.
 
 Defined results: null text is empty text; a document without words has no shingles and no links; one
 with fewer than five words has its whole sequence as its only shingle; a null id is nobody's
@@ -36,6 +39,8 @@ CHUNKS, LANES, BITS = 9, 4, 15
 DISTANCE = 17
 #: Members of one leader that meet in one task when links are confirmed.
 FAN_OUT = 1024
+#: Members of a key, and bytes of their shingle sets, of one side of a cell of the second round.
+CELL_ROWS, CELL_BYTES = 2048, 32 << 20
 
 _HASHES = CHUNKS * LANES
 _MULTIPLY = np.random.default_rng(7).integers(1, 1 << 63, _HASHES, dtype=np.uint64) | np.uint64(1)
@@ -94,10 +99,14 @@ def _masks(errors: int) -> list[int]:
     return [sum(lane << (BITS * i) for i in range(LANES) if i not in out) for out in combinations(range(LANES), errors)]
 
 
+def key_slots(distance: int = DISTANCE) -> list[tuple[int, int]]:
+    """(chunk, mask) of every index key."""
+    return [(i, m) for i in range(CHUNKS) for m in _masks(min(LANES - 1, distance // CHUNKS))]
+
+
 def index_keys(distance: int = DISTANCE) -> Column:
     """All index keys of a row with signature chunks."""
-    masks = _masks(min(LANES - 1, distance // CHUNKS))
-    return F.array(*[F.xxhash64(F.lit(i * len(masks) + j), F.col(c).bitwiseAND(F.lit(m))) for i, c in enumerate(_CHUNK_NAMES) for j, m in enumerate(masks)])
+    return F.array(*[F.xxhash64(F.lit(k), F.col(_CHUNK_NAMES[i]).bitwiseAND(F.lit(m))) for k, (i, m) in enumerate(key_slots(distance))])
 
 
 def differing(left: str, right: str) -> Column:
@@ -136,8 +145,7 @@ def _confirm(percent: int):
 def confirmed(pairs: DataFrame, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """Those of the pairs (a, b), a durable frame, whose full shingle sets are similar enough."""
     ids = pairs.select(F.col("a").alias("doc_id")).unionByName(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    bodies = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("body")).join(ids, "doc_id")
-    sets = durable(bodies.select("doc_id", "body").mapInArrow(_sets, "id long, shingles binary"))
+    sets = durable(_set_table(docs, ids))
     fans = pairs.groupBy("b").agg(F.ceil(F.count(F.lit(1)) / FAN_OUT).cast("int").alias("fan"))
     left = pairs.join(sets.withColumnRenamed("id", "a").withColumnRenamed("shingles", "left"), "a").join(fans, "b")
     left = left.withColumn("salt", F.pmod(F.xxhash64("a"), F.col("fan")).cast("int"))
@@ -145,29 +153,153 @@ def confirmed(pairs: DataFrame, docs: DataFrame, percent: int = PERCENT) -> Data
     return left.join(right.select("b", "salt", "right"), ["b", "salt"]).select("a", "b", "left", "right").mapInArrow(_confirm(percent), "a long, b long").distinct()
 
 
+_MEMBER = ["key", "ci", "cj", "slot", "block", "rep", "component", *_CHUNK_NAMES]
+_MEMBER_SQL = "key long, ci int, cj int, slot int, block int, rep long, component long, " + ", ".join(f"{c} long" for c in _CHUNK_NAMES)
+
+
+def _mismatches(left: np.ndarray, right: np.ndarray) -> np.ndarray:
+    """Differing symbols between every row of left and every row of right (packed chunks)."""
+    low = np.int64(sum(((1 << (BITS - 1)) - 1) << (BITS * i) for i in range(LANES)))
+    top = np.int64(sum((1 << (BITS - 1)) << (BITS * i) for i in range(LANES)))
+    total = np.zeros((len(left), len(right)), np.uint8)
+    for c in range(CHUNKS):
+        x = left[:, c, None] ^ right[None, :, c]
+        total += np.bitwise_count(((x & low) + low | x) & top)
+    return total
+
+
+def _open_pairs(cell: dict[str, np.ndarray], rows: np.ndarray, labels: np.ndarray, distance: int, slots) -> np.ndarray:
+    """For some rows of a cell against all: pairs to settle here, as a boolean matrix.
+
+    Settled here are pairs x < y of this cell's two blocks, in different components, within the
+    distance, that share no earlier key.
+    """
+    packed, block, rep = cell["packed"], cell["block"], cell["rep"]
+    ok = (rep[rows, None] < rep[None, :]) & (labels[rows, None] != labels[None, :])
+    if cell["ci"] != cell["cj"]:
+        ok &= block[rows, None] != block[None, :]
+    if ok.any():
+        ok &= _mismatches(packed[rows], packed) <= distance
+    for i, mask in slots[: cell["slot"]]:
+        if not ok.any():
+            break
+        ok &= ((packed[rows, i, None] ^ packed[None, :, i]) & np.int64(mask)) != 0
+    return ok
+
+
+def _cells(batches, extra: tuple[str, ...] = ()):
+    """Cells of a partition sorted by key, ci, cj: a dict of arrays each."""
+    held: list[pa.RecordBatch] = []
+    last = None
+
+    def whole():
+        t = pa.Table.from_batches(held)
+        get = lambda c: t.column(c).to_numpy()
+        out = {"packed": np.stack([get(c) for c in _CHUNK_NAMES], 1), "block": get("block"), "rep": get("rep"), "component": get("component"), "table": t}
+        out |= {c: int(t.column(c)[0].as_py()) for c in ("key", "ci", "cj", "slot")}
+        return out | {c: t.column(c) for c in extra}
+
+    for batch in batches:
+        ids = np.stack([batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("key", "ci", "cj")], 1)
+        cuts = [0, *(np.flatnonzero((ids[1:] != ids[:-1]).any(1)) + 1).tolist(), len(ids)]
+        for a, b in zip(cuts, cuts[1:]):
+            if a == b:
+                continue
+            now = tuple(ids[a])
+            if last is not None and now != last:
+                yield whole()
+                held = []
+            held.append(batch.slice(a, b - a))
+            last = now
+    if held:
+        yield whole()
+
+
+def _needed(distance: int):
+    slots = key_slots(distance)
+
+    def run(batches):
+        for cell in _cells(batches):
+            n = len(cell["rep"])
+            wanted = np.zeros(n, bool)
+            for a in range(0, n, 256):
+                rows = np.arange(a, min(a + 256, n))
+                ok = _open_pairs(cell, rows, cell["component"], distance, slots)
+                wanted[rows] |= ok.any(1)
+                wanted |= ok.any(0)
+            if wanted.any():
+                yield from cell["table"].filter(pa.array(wanted)).select(_MEMBER).combine_chunks().to_batches()
+
+    return run
+
+
+def _settled(distance: int, percent: int):
+    slots = key_slots(distance)
+
+    def run(batches):
+        for cell in _cells(batches, ("shingles",)):
+            sets = [np.frombuffer(x.as_buffer(), np.uint64) for x in cell["shingles"]]
+            sizes = np.array([len(x) for x in sets])
+            labels, found = cell["component"].copy(), []
+            for i in range(len(sets)):
+                ys = np.flatnonzero(_open_pairs(cell, np.array([i]), labels, distance, slots)[0])
+                # what can be similar at all: neither set is much larger
+                ys = ys[100 * np.minimum(sizes[ys], sizes[i]) >= percent * np.maximum(sizes[ys], sizes[i])]
+                if not len(ys):
+                    continue
+                flat = np.concatenate([sets[y] for y in ys])
+                at = np.searchsorted(sets[i], flat)
+                at[at == sizes[i]] = 0
+                both = np.add.reduceat((sets[i][at] == flat).astype(np.int64), np.concatenate([[0], np.cumsum(sizes[ys])[:-1]]))
+                for y in ys[100 * both >= percent * (sizes[i] + sizes[ys] - both)]:
+                    if labels[y] != labels[i]:
+                        found.append((cell["rep"][y], cell["rep"][i]))
+                        labels[labels == labels[y]] = labels[i]
+            if found:
+                a, b = zip(*found)
+                yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return run
+
+
+def _set_table(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """id, shingles (sorted, packed) of the documents with these ids (doc_id)."""
+    bodies = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_bytes().alias("body")).join(ids, "doc_id")
+    return bodies.select("doc_id", "body").mapInArrow(_sets, "id long, shingles binary")
+
+
+def settle(shared: DataFrame, named: DataFrame, labels: DataFrame, docs: DataFrame, distance: int, percent: int) -> DataFrame:
+    """Links (a, b) between the components that labels leaves, for all pairs of a key within the distance."""
+    marked = shared.select("key", "slot", "rep").join(labels.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    split = marked.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
+    members = durable(marked.join(split, "key").join(named, "rep"))
+    weights = members.groupBy("key").agg(F.greatest(F.ceil(F.count(F.lit(1)) / CELL_ROWS), F.ceil(F.sum("n_shingles") * 8 / CELL_BYTES)).cast("int").alias("blocks"))
+    placed = members.join(weights, "key").withColumn("block", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int"))
+    placed = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    placed = placed.withColumn("ci", F.least("block", "other")).withColumn("cj", F.greatest("block", "other")).select(*_MEMBER)
+    dealt = lambda df: df.repartition("key", "ci", "cj").sortWithinPartitions("key", "ci", "cj", "rep")
+    needed = durable(dealt(placed).mapInArrow(_needed(distance), _MEMBER_SQL))
+    sets = _set_table(docs, needed.select(F.col("rep").alias("doc_id")).distinct())
+    full = needed.join(sets.withColumnRenamed("id", "rep"), "rep")
+    return dealt(full.select(*_MEMBER, "shingles")).mapInArrow(_settled(distance, percent), "a long, b long").distinct()
+
+
 def near_groups(docs: DataFrame, distance: int = DISTANCE, percent: int = PERCENT) -> DataFrame:
     """One row per row of docs: doc_id, n_shingles, component_id, kept, n_same_set."""
     rows = durable(sketches(docs))
     key = ["set_a", "set_b", "n_shingles", *_CHUNK_NAMES]
     reps = durable(rows.where("n_shingles > 0").groupBy(*key).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("n_same_set")))
-    named = reps.where("rep is not null").select("rep", *_CHUNK_NAMES)
-    keys = named.select("rep", F.explode(index_keys(distance)).alias("key"))
+    named = reps.where("rep is not null").select("rep", "n_shingles", *_CHUNK_NAMES)
+    keys = named.select("rep", F.posexplode(index_keys(distance)).alias("slot", "key"))
     leaders = keys.groupBy("key").agg(F.min("rep").alias("leader"), F.count(F.lit(1)).alias("members")).where("members > 1").select("key", "leader")
-    stars = keys.join(leaders, "key").where("rep <> leader").select("rep", "leader").distinct()
+    shared = durable(keys.join(leaders, "key"))
+    stars = shared.where("rep <> leader").select("rep", "leader").distinct()
     x, y = named.alias("x"), named.alias("y")
     near = stars.alias("s").join(x, F.col("s.rep") == F.col("x.rep")).join(y, F.col("s.leader") == F.col("y.rep"))
     near = durable(near.where(differing("x", "y") <= distance).select(F.col("s.rep").alias("a"), F.col("s.leader").alias("b")))
     first = durable(confirmed(near, docs, percent))
     labels = components(first)
-
-    marked = named.join(labels.withColumnRenamed("id", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
-    marked = marked.withColumn("key", F.explode(index_keys(distance)))
-    split = marked.groupBy("key").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low < high").select("key")
-    open_ = durable(marked.join(split, "key"))
-    x, y = open_.alias("x"), open_.alias("y")
-    cross = x.join(y, (F.col("x.key") == F.col("y.key")) & (F.col("x.rep") > F.col("y.rep")) & (F.col("x.component") != F.col("y.component")) & (differing("x", "y") <= distance))
-    cross = durable(cross.select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b")).distinct().join(near, ["a", "b"], "left_anti"))
-    second = confirmed(cross, docs, percent)
+    second = settle(shared, named, labels, docs, distance, percent)
     final = components(first.unionByName(second))
 
     classes = reps.join(final.withColumnRenamed("id", "rep"), "rep", "left").select(*[F.col(c).alias(f"r_{c}") for c in ("set_a", "set_b", "n_shingles")], F.coalesce("component", "rep").alias("component"), "n_same_set")
