@@ -75,11 +75,15 @@ def neighbourhood(line: Column) -> Column:
         def of_block(b):
             start = b * BLOCK
             size = F.when(start + BLOCK >= shorter, F.length(line) - start).otherwise(F.lit(BLOCK + extra)).cast("int")
-            block = F.substring(line, start + 1, size)
-            before, after = F.xxhash64(F.left(line, start)), F.xxhash64(F.substring(line, start + size + 1, F.length(line)))
+            # a one-element array gives the parts names, so that each is computed once per block
+            parts = F.struct(size.alias("size"), F.substring(line, start + 1, size).alias("block"), F.xxhash64(F.left(line, start)).alias("before"), F.xxhash64(F.substring(line, start + size + 1, F.length(line))).alias("after"))
+            return F.flatten(F.transform(F.array(parts), lambda p: of_parts(b, p)))
+
+        def of_parts(b, p):
             # every key says which lengths it can join: that of the shorter line, and what is left of the block
-            varied = F.transform(F.sequence(F.lit(1), size), lambda i: F.xxhash64(shorter, b, before, after, F.concat(F.substring(block, F.lit(1), i - 1), F.substring(block, i + 1, size))))
-            return F.concat(varied, F.array(F.xxhash64(shorter, b, before, after, block))) if whole else varied
+            key = lambda text: F.xxhash64(shorter, b, p["before"], p["after"], text)
+            varied = F.transform(F.sequence(F.lit(1), p["size"]), lambda i: key(F.concat(F.substring(p["block"], F.lit(1), i - 1), F.substring(p["block"], i + 1, p["size"]))))
+            return F.concat(varied, F.array(key(p["block"]))) if whole else varied
 
         blocks = F.sequence(F.lit(0), F.floor(F.greatest(shorter - 1, F.lit(0)) / BLOCK).cast("int"))
         return F.flatten(F.transform(blocks, of_block))
