@@ -11,9 +11,10 @@ equal variants are joined and the edit distance is verified. Two exact devices k
 * One edit leaves the first or the last half of the shorter line as it was, so each line has four
   half keys (its own length's and the next shorter one's); a line whose half keys nobody shares has
   no partner and emits nothing.
-* A long line is cut into blocks of BLOCK characters, counted by the shorter line; the edit lies in
-  one block, so a variant's key is the hash of all before, the varied block, and all after. Lines of
-  one block give the plain deletion neighbourhood.
+* A line is cut into blocks, counted by the shorter line of a pair; the edit lies in one block, so two
+  lines within one edit share what stands before and after it. A variant's key is the hash of all
+  before, the varied block, and all after, and only blocks whose surroundings another line shares
+  emit their variants. A line has at most MAX_BLOCKS blocks, so long lines cost in proportion.
 
 Defined results: null text is empty text (one blank line); a null id comes last, and lines that only
 documents without id have all stay; rows repeating an id count as one place and give a row each; an
@@ -28,7 +29,7 @@ from pyspark.sql import functions as F
 from motifloom.llm.common import durable
 
 MIN_LENGTH = 20
-BLOCK = 256
+BLOCK, MAX_BLOCKS = 32, 64
 #: Up to so many rows of ids are broadcast; beyond that they are joined by a shuffle.
 BROADCAST_ROWS = 100_000
 _POSITIONS = 1 << 32
@@ -68,28 +69,33 @@ def partnered(distinct: DataFrame) -> DataFrame:
     return keys.join(shared, "key", "left_semi").select("h1", "h2", "first").distinct()
 
 
-def neighbourhood(line: Column) -> Column:
-    """Hashed keys of a line's deletion neighbourhood."""
+def blocks(line: Column) -> Column:
+    """array<struct<shorter, place, around, block, whole>>: a line's blocks on its own and the next shorter grid.
 
-    def keys(shorter: Column, extra: int, whole: bool) -> Column:
-        def of_block(b):
-            start = b * BLOCK
-            size = F.when(start + BLOCK >= shorter, F.length(line) - start).otherwise(F.lit(BLOCK + extra)).cast("int")
-            # a one-element array gives the parts names, so that each is computed once per block
-            parts = F.struct(size.alias("size"), F.substring(line, start + 1, size).alias("block"), F.xxhash64(F.left(line, start)).alias("before"), F.xxhash64(F.substring(line, start + size + 1, F.length(line))).alias("after"))
-            return F.flatten(F.transform(F.array(parts), lambda p: of_parts(b, p)))
+    around says which blocks can hold the only difference of two lines: equal length of the shorter
+    line, equal place, equal text before and after.
+    """
 
-        def of_parts(b, p):
-            # every key says which lengths it can join: that of the shorter line, and what is left of the block
-            key = lambda text: F.xxhash64(shorter, b, p["before"], p["after"], text)
-            varied = F.transform(F.sequence(F.lit(1), p["size"]), lambda i: key(F.concat(F.substring(p["block"], F.lit(1), i - 1), F.substring(p["block"], i + 1, p["size"]))))
-            return F.concat(varied, F.array(key(p["block"]))) if whole else varied
+    def grid(shorter: Column, extra: int, whole: bool) -> Column:
+        width = F.greatest(F.lit(BLOCK), F.ceil(shorter / MAX_BLOCKS)).cast("int")
 
-        blocks = F.sequence(F.lit(0), F.floor(F.greatest(shorter - 1, F.lit(0)) / BLOCK).cast("int"))
-        return F.flatten(F.transform(blocks, of_block))
+        def block(b):
+            start = (b * width).cast("int")
+            size = F.when(start + width >= shorter, F.length(line) - start).otherwise(width + extra).cast("int")
+            around = F.xxhash64(shorter, b, F.left(line, start), F.lit(0), F.substring(line, start + size + 1, F.length(line)))
+            return F.struct(around.alias("around"), F.substring(line, start + 1, size).alias("block"), F.lit(whole).alias("whole"))
+
+        return F.transform(F.sequence(F.lit(0), F.floor(F.greatest(shorter - 1, F.lit(0)) / width).cast("int")), block)
 
     n = F.length(line)
-    return F.array_distinct(F.concat(keys(n, 0, True), keys(n - 1, 1, False)))
+    return F.concat(grid(n, 0, True), grid(n - 1, 1, False))
+
+
+def variants(around: Column, block: Column, whole: Column) -> Column:
+    """Hashed keys of a block with one character deleted, and of the block itself on the line's own grid."""
+    n = F.length(block)
+    varied = F.transform(F.sequence(F.lit(1), n), lambda i: F.xxhash64(around, F.concat(F.substring(block, F.lit(1), i - 1), F.substring(block, i + 1, n))))
+    return F.array_distinct(F.concat(varied, F.when(whole, F.array(F.xxhash64(around, block))).otherwise(F.array().cast("array<bigint>"))))
 
 
 def near_lines(docs: DataFrame, distinct: DataFrame) -> DataFrame:
@@ -101,9 +107,10 @@ def near_lines(docs: DataFrame, distinct: DataFrame) -> DataFrame:
     text = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(wanted, "doc_id")
     found = text.select("h1", "h2", "first", F.get(F.split("text", "\n", -1), F.col("pos")).alias("line")).distinct()
     found = durable(found)
-    keyed = found.select("h1", "h2", "first", F.explode(neighbourhood(F.col("line"))).alias("key"))
-    leaders = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
-    keyed = durable(keyed.join(leaders, "key", "left_semi"))
+    cut = found.select("h1", "h2", "first", F.explode(blocks(F.col("line"))).alias("c")).select("h1", "h2", "first", "c.around", "c.block", "c.whole")
+    met = cut.groupBy("around").agg(F.min("h1").alias("low"), F.max("h1").alias("high")).where("low < high").select("around")
+    keyed = cut.join(met, "around", "left_semi").select("h1", "h2", "first", F.explode(variants(F.col("around"), F.col("block"), F.col("whole"))).alias("key"))
+    keyed = durable(keyed)
     a, b = keyed.alias("a"), keyed.alias("b")
     pairs = a.join(b, (F.col("a.key") == F.col("b.key")) & (F.col("a.first") > F.col("b.first"))).select(*[F.col(f"{t}.{c}").alias(f"{t}_{c}") for t in "ab" for c in ("h1", "h2")]).distinct()
     left, right = found.alias("x"), found.alias("y")
