@@ -51,7 +51,8 @@ def lattice(spark: SparkSession, sf_dir: str) -> DataFrame:
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderdate")
     same_customer = F.lag("o_orderkey").over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey"))
     same_day = F.lag("o_orderkey").over(Window.partitionBy("o_orderdate").orderBy("o_orderkey"))
-    return orders.select(F.col("o_orderkey").alias("a"), F.explode(F.array(same_customer, same_day)).alias("b")).where("b is not null")
+    near = orders.select(F.col("o_orderkey").alias("a"), F.array(same_customer, same_day).alias("before"))
+    return near.select("a", F.explode("before").alias("b")).where("b is not null")
 
 
 def supply(spark: SparkSession, sf_dir: str) -> DataFrame:
