@@ -166,7 +166,7 @@ def unique_per_text(values: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray
     return v[keep], out
 
 
-def slices(batch: pa.RecordBatch, column: str, most: int = 8 * SLICE):
+def slices(batch: pa.RecordBatch, column: str, most: int = SLICE):
     """Cuts a batch into runs of rows of about `most` text bytes."""
     sizes = np.diff(raw(batch.column(batch.schema.get_field_index(column)))[1])
     start = held = 0

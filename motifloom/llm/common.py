@@ -1,4 +1,4 @@
-"""What the corpus operators share: durable intermediates, package shipping, id hygiene."""
+"""What the corpus operators share: scratch paths, package shipping, text bytes; durable frames come from storage."""
 
 from __future__ import annotations
 
@@ -13,29 +13,9 @@ from pathlib import Path
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-PACKAGE = Path(__file__).resolve().parent.parent
-LOCAL_FALLBACK = "/tmp/checkpoints"
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from spark.checkpoint.dir.
-
-    Only where that setting is absent (tests, one machine) is a folder of our own set.
-    """
-    context = spark.sparkContext
-    given = context.getConf().get("spark.checkpoint.dir", None) or context.getCheckpointDir()
-    if not given:
-        given = f"{LOCAL_FALLBACK}/{uuid.uuid4().hex}"
-        context.setCheckpointDir(given)
-    elif not context.getCheckpointDir():
-        context.setCheckpointDir(given)
-    return given
+from motifloom.storage import durable, shared_dir
 
-
-def durable(df: DataFrame) -> DataFrame:
-    """Computes df once and keeps it in the shared folder, so that lost executors lose nothing."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
+PACKAGE = Path(__file__).resolve().parent.parent
 
 
 def scratch(spark: SparkSession, name: str) -> str:
@@ -65,3 +45,6 @@ def text_bytes(column: str = "text") -> Column:
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
+
+
+__all__ = ["durable", "scratch", "shared_dir", "ship", "table", "text_bytes"]

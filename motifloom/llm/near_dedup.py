@@ -311,5 +311,5 @@ def near_groups(docs: DataFrame, distance: int = DISTANCE, percent: int = PERCEN
 
 def keep_first(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs that stay, one document of each group, with all their columns."""
-    kept = near_groups(docs, **options).where("kept").select(F.col("doc_id").alias("kept_id")).distinct()
-    return docs.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("kept_id")), "left_semi")
+    kept = near_groups(docs, **options).where("kept").select(F.col("doc_id").alias("__kept_id")).distinct()
+    return docs.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("__kept_id")), "left_semi")

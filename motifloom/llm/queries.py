@@ -57,5 +57,62 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {f.__name__: f for f in (op1_secrets, op2_exact_dedup, op3_pii, op4_warc, op5_toxicity, op6_line_dedup, op7_mixing, op8_decontaminate, op9_chat, op10_near_dedup)}
 
 
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+
+_EXACT_SQL = (
+    f"WITH d AS (SELECT doc_id, sha256(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}')) AS h FROM documents)"
+    " SELECT doc_id, max(doc_id) OVER (PARTITION BY h) AS keep_id, count(*) OVER (PARTITION BY h) AS group_size, doc_id = max(doc_id) OVER (PARTITION BY h) AS kept, h AS text_sha256 FROM d"
+)
+
+_MIX_SQL = """
+WITH d AS (
+  SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size, md5('0:' || coalesce(CAST(doc_id AS VARCHAR), '')) AS h FROM documents
+), s AS (
+  SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source
+), w AS (
+  SELECT *, ([5.0, 2.0, 1.0])[1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3]::DOUBLE AS weight FROM s
+), c AS (
+  SELECT *, 3 * source_size AS cap, 3 * source_size / weight AS ratio FROM w
+), l AS (
+  SELECT *, CAST((SELECT sum(source_size) FROM s) - coalesce(sum(cap) OVER (ORDER BY ratio, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS DOUBLE)
+    / sum(weight) OVER (ORDER BY ratio, source NULLS LAST ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS level FROM c
+), t AS (
+  SELECT source, source_size, least(CAST(cap AS DOUBLE), weight * coalesce((SELECT level FROM l WHERE level <= ratio ORDER BY ratio, source NULLS LAST LIMIT 1), 0.0)) AS target FROM l
+), r AS (
+  SELECT d.doc_id, d.source, d.size, t.source_size, t.target, sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
+), p AS (
+  SELECT r.*, k, k * source_size + upto AS u FROM r, (SELECT unnest([0, 1, 2]) AS k) WHERE k < greatest(1, least(3, CAST(ceil(target / greatest(source_size, 1)) AS INTEGER)))
+)
+SELECT doc_id, size, source_size, target, CAST(sum(greatest(0, least(size, CAST(floor(target) AS BIGINT) - (u - size)))) AS BIGINT) AS taken,
+  min(CASE WHEN target > 0 THEN CAST(u - size AS DOUBLE) / target ELSE 0.0 END) AS first_start
+FROM p GROUP BY doc_id, source, size, source_size, target
+"""
+
+_CONTROLS = ("<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "<ANS>", "</s>", "<ROLE>", "</ROLE>", "<END>")
+
+
+def _escaped_length(column: str) -> str:
+    extra = " + ".join(f"(length({column}) - length(replace({column}, '{c}', ''))) // {len(c)}" for c in (*_CONTROLS, "\\"))
+    return f"length({column}) + {extra}"
+
+
+_CHAT_SQL = f"""
+WITH t AS (
+  SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, 0, 'user', '</s>[INST] ok [/INST]' UNION ALL SELECT -1, 1, 'assistant', '</s>[INST] ok [/INST]'
+), o AS (
+  SELECT *, lag(role) OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) AS before, lead(role) OVER (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text) AS after FROM t
+)
+SELECT conv_id, count(*) AS n_turns,
+  sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn NULLS FIRST, role, text)) AS turns_sha256,
+  CAST(sum(CASE WHEN role = 'assistant' THEN length(text) ELSE 0 END) AS BIGINT) AS loss_chars,
+  sha256(coalesce(string_agg(CASE WHEN role = 'assistant' THEN text END, '' ORDER BY turn NULLS FIRST, role, text), '')) AS loss_sha256,
+  CAST(sum({_escaped_length("text")} + CASE role WHEN 'user' THEN 16 WHEN 'assistant' THEN 9 WHEN 'system' THEN 15 ELSE 18 + {_escaped_length("role")} END) AS BIGINT) AS formatted_chars,
+  bool_and(CASE WHEN before IS NULL THEN role IN ('system', 'user') WHEN before = 'system' THEN role = 'user' WHEN before = 'user' THEN role = 'assistant' WHEN before = 'assistant' THEN role = 'user' ELSE false END AND (after IS NOT NULL OR role = 'assistant')) AS valid
+FROM o GROUP BY conv_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_exact_dedup": _EXACT_SQL, "op7_mixing": _MIX_SQL, "op9_chat": _CHAT_SQL}
