@@ -83,6 +83,11 @@ class PatriciaTrie:
 
     def add(self, key: bytes, best, rows: int = 1) -> None:
         """key must start with the trie's prefix."""
+        self._insert(key, best, rows)
+        if self.held > self.memory and self.weight:  # only now is the tree whole
+            self._spill(max(self.weight, key=self.weight.__getitem__))
+
+    def _insert(self, key: bytes, best, rows: int) -> None:
         at, node = len(self.prefix), self.root
         if at < len(key) and key[at] in self.runs:
             self.runs[key[at]].add(key, best, rows)
@@ -112,8 +117,6 @@ class PatriciaTrie:
         head = key[len(self.prefix)]
         self.weight[head] = self.weight.get(head, 0) + size
         self.held += size
-        if self.held > self.memory and len(self.weight) > 0:
-            self._spill(max(self.weight, key=self.weight.__getitem__))
 
     def _spill(self, head: int) -> None:
         node = self.root.children.pop(head)
