@@ -78,7 +78,7 @@ def match(
     same: tuple = ()
     if strategy == "growth":
         plan = optimize.growth_plan(q, order, compression, triangle_index, g.label_counts() if q.labelled else None, symmetry)
-        same = growth.same_arrays(q, plan, ordered)
+        same = growth.same_arrays(q, plan, ordered) if g.whole_lists else ()  # chunks of a list are not the same array
         make = lambda k, b: growth.run(g, q, plan, triangle_index=triangle_index, proposer=proposer, execution=execution, symmetry=symmetry, batch=(k, b) if b > 1 else None, hint=hint)
     elif strategy == "binary":
         tree = binary.plan(g, q, unit, shape, overlap, cost)

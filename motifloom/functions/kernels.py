@@ -196,7 +196,8 @@ def candidate_sets(csr: Csr, q: QueryGraph) -> dict[int, np.ndarray]:
         ok = csr.degree >= q.degree(v)
         if csr.labels is not None and q.label(v) is not None:
             ok &= csr.labels == q.label(v)
-            for label in {q.label(w) for w in q.adjacency[v]}:
+        if csr.labels is not None:
+            for label in {q.label(w) for w in q.adjacency[v]} - {None}:
                 need = sum(q.label(w) == label for w in q.adjacency[v])
                 ok &= np.bincount(src, csr.labels[csr.indices] == label, csr.n) >= need
         out[v] = ok

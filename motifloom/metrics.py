@@ -94,7 +94,7 @@ def compression_ratio(g: DataGraph, q: QueryGraph, order="greedy") -> DataFrame:
     arrays = compress.array_vertices(rows)
     stored = reduce(lambda a, b: a + b, [F.size(f"c{x}") for x in arrays], F.lit(q.n - len(arrays)))
     kept = rows.agg(F.coalesce(F.sum(stored), F.lit(0)).cast("bigint").alias("stored"))
-    plain = compress.count(rows, q, use_symmetry(q), growth.same_arrays(q, plan, use_symmetry(q))).select((F.col("matches") * q.n).alias("plain"))
+    plain = compress.count(rows, q, use_symmetry(q), growth.same_arrays(q, plan, use_symmetry(q)) if g.whole_lists else ()).select((F.col("matches") * q.n).alias("plain"))
     return plain.crossJoin(kept)  # two one-row frames
 
 

@@ -29,6 +29,8 @@ class DataGraph:
     directed: bool = False
     ranked: bool = True
     name: str = ""
+    #: Neighbour lists longer than this are cut into chunks.
+    chunk: int = CHUNK
     _kept: dict = field(default_factory=dict, repr=False)
 
     @property
@@ -74,8 +76,9 @@ class DataGraph:
         """u, v for every arc with these labels."""
         return self._arcs(ulabel, vlabel, elabel, inward)
 
-    def adjacency(self, ulabel=None, vlabel=None, elabel=None, inward: bool = False, chunk: int = CHUNK) -> DataFrame:
+    def adjacency(self, ulabel=None, vlabel=None, elabel=None, inward: bool = False) -> DataFrame:
         """u, nbrs (ascending): a hub has a row per chunk, whose members are spread evenly."""
+        chunk = self.chunk
         key = ("adj", ulabel, vlabel, elabel, inward, chunk)
         if key not in self._kept:
             a = self._arcs(ulabel, vlabel, elabel, inward)
@@ -98,6 +101,11 @@ class DataGraph:
             self._kept["stats"] = {"n": row["n"], "m": m, "max_degree": row["max"], "avg_degree": 2.0 * m / row["n"] if row["n"] else 0.0, "s": [float(row["n"]), *[row[f"s{k}"] for k in range(1, 9)]]}
         return self._kept["stats"]
 
+    @property
+    def whole_lists(self) -> bool:
+        """Whether every vertex has its neighbours in one list."""
+        return self.max_degree <= self.chunk
+
     @property
     def max_degree(self) -> int:
         return self.stats["max_degree"]

@@ -148,6 +148,7 @@ def run(
             rows = rows.select(*keep, found.alias(f"c{x}")).where(F.size(f"c{x}") > 0)
             arrays.append(x)
             continue
+        # exploding the expression itself keeps the optimiser from evaluating the intersection twice
         rows = rows.select(*keep, F.explode(found).alias(f"v{x}"))
         single.append(x)
         for y in arrays:  # an array of an earlier round must respect the new vertex
