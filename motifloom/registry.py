@@ -81,8 +81,9 @@ for _q in ("q4", "q8", "q9"):
 for _q in catalogue.UNLABELLED:
     _strategy(_q, "growth", "coactive", "count", compression=True)
     _strategy(_q, "replicated", "coactive", "count") if _q not in ("q7",) else None
-for _m in ("edge", "star", "wedge", "clique", "coverfirst", "hypercube", "frontier", "cliquebud", "wco"):
+for _m in ("edge", "star", "wedge", "clique", "coverfirst", "hypercube", "cliquebud", "wco"):
     _strategy("q5", _m, "coactive", "count")
+_strategy("q2", "frontier", "coactive", "count")
 for _m in ("star", "wedge", "growth", "hypercube", "replicated"):
     _strategy("q1", _m, "lattice")
 _strategy("q7", "growth", "lattice", "count", compression=True)
