@@ -88,8 +88,6 @@ for _m in ("star", "wedge", "growth", "hypercube", "replicated"):
     _strategy("q1", _m, "lattice")
 _strategy("q7", "growth", "lattice", "count", compression=True)
 _strategy("q7", "star", "lattice", "count")
-_strategy("q1", "growth", "supply", "count", compression=True)
-_strategy("q2", "clique", "copurchase", "count", compression=True)
 for _shape in ("triangle", "tailed_triangle", "clique5", "cycle5", "star3", "book3", "wheel4", "path4"):
     _strategy(_shape, "growth", "cobuy", "count", compression=True)
 
