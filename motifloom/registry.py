@@ -347,7 +347,8 @@ def _contain(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents that hold a whole benchmark item, with the quality label as a property."""
     docs, items = table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")
     words = F.split("text", r"\s+")
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.size(words) - 3, F.lit(1))), lambda i: F.xxhash64(F.slice(words, i, 4)))
+    # a one-element array names the words, so that a text is split once and not once per position
+    grams = F.flatten(F.transform(F.array(words), lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - 3, F.lit(1))), lambda i: F.xxhash64(F.slice(w, i, 4)))))
     seeds = items.select("item_id", F.col("text").alias("item"), F.xxhash64(F.slice(F.split("text", r"\s+"), 2, 4)).alias("g"))
     found = docs.select("doc_id", "text", F.explode(F.array_distinct(grams)).alias("g")).join(seeds, "g").where(F.col("text").contains(F.col("item")))
     labels = table(spark, sf_dir, "labels").select("doc_id", "quality")
