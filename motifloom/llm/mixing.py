@@ -49,12 +49,8 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, max_repeats: int = MAX_REP
     return levels.select("source", "source_size", F.least(F.col("cap").cast("double"), F.col("weight") * F.coalesce(final["level"], F.lit(0.0))).alias("target"))
 
 
-def mix(docs: DataFrame, weights=WEIGHTS, max_repeats: int = MAX_REPEATS, seed: int = 0, bucket_digits: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
-    """One row per copy the mix may take: doc_id, source, size, source_size, target, pass, start, finish, taken.
-
-    start and finish are virtual times. carry names further columns of docs to keep. Every document
-    has a row with pass 0 even if the mix takes nothing of it.
-    """
+def _placed(docs: DataFrame, weights, max_repeats: int, seed: int, bucket_digits: int, carry: tuple[str, ...]) -> DataFrame:
+    """One row per row of docs: its source's words up to its end in the first pass (upto), and the number of passes."""
     sized = docs.select(F.col("doc_id"), F.col("source").cast("string").alias("source"), word_count().alias("size"), *carry)
     sized = sized.withColumn("shuffled", F.md5(F.concat_ws(":", F.lit(str(seed)), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))))
     sized = sized.withColumn("bucket", F.substring("shuffled", 1, bucket_digits))
@@ -65,14 +61,32 @@ def mix(docs: DataFrame, weights=WEIGHTS, max_repeats: int = MAX_REPEATS, seed:
     offsets = buckets.join(targets.withColumnRenamed("source", "t_source"), F.col("source").eqNullSafe(F.col("t_source"))).select(
         F.col("source").alias("o_source"), F.col("bucket").alias("o_bucket"), "before", "source_size", "target"
     )
-    inside = Window.partitionBy("source", "bucket").orderBy("shuffled", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    inside = Window.partitionBy("source", "bucket").orderBy("shuffled", "doc_id", "size").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     placed = sized.withColumn("upto", F.sum("size").over(inside))
     placed = placed.join(offsets, F.col("source").eqNullSafe(F.col("o_source")) & (F.col("bucket") == F.col("o_bucket"))).withColumn("upto", F.col("upto") + F.col("before"))
     passes = F.greatest(F.lit(1), F.least(F.lit(max_repeats), F.ceil(F.col("target") / F.greatest(F.col("source_size"), F.lit(1))).cast("int")))
-    copies = placed.withColumn("pass", F.explode(F.sequence(F.lit(0), passes - 1))).withColumn("upto", F.col("pass") * F.col("source_size") + F.col("upto"))
+    return placed.select("doc_id", "source", "size", "source_size", "target", "upto", passes.alias("passes"), *carry)
+
+
+def _taken(upto: Column) -> Column:
+    """Words the mix takes of the copy that ends at upto."""
+    return F.greatest(F.lit(0), F.least(F.col("size"), F.floor("target") - (upto - F.col("size")))).cast("long")
+
+
+def _start() -> Column:
+    return F.when(F.col("target") > 0, (F.col("upto") - F.col("size")) / F.col("target")).otherwise(F.lit(0.0))
+
+
+def mix(docs: DataFrame, weights=WEIGHTS, max_repeats: int = MAX_REPEATS, seed: int = 0, bucket_digits: int = 3, carry: tuple[str, ...] = ()) -> DataFrame:
+    """One row per copy the mix may take: doc_id, source, size, source_size, target, pass, start, finish, taken.
+
+    start and finish are virtual times. carry names further columns of docs to keep. Every document
+    has a row with pass 0 even if the mix takes nothing of it.
+    """
+    placed = _placed(docs, weights, max_repeats, seed, bucket_digits, carry)
+    copies = placed.withColumn("pass", F.explode(F.sequence(F.lit(0), F.col("passes") - 1))).withColumn("upto", F.col("pass") * F.col("source_size") + F.col("upto"))
     clock = F.when(F.col("target") > 0, F.col("upto") / F.col("target")).otherwise(F.lit(0.0))
-    taken = F.greatest(F.lit(0), F.least(F.col("size"), F.floor("target") - (F.col("upto") - F.col("size")))).cast("long")
-    return copies.select("doc_id", "source", "size", "source_size", "target", "pass", F.when(F.col("target") > 0, (F.col("upto") - F.col("size")) / F.col("target")).otherwise(F.lit(0.0)).alias("start"), clock.alias("finish"), taken.alias("taken"), *carry)
+    return copies.select("doc_id", "source", "size", "source_size", "target", "pass", _start().alias("start"), clock.alias("finish"), _taken(F.col("upto")).alias("taken"), *carry)
 
 
 def emit(copies: DataFrame) -> DataFrame:
@@ -80,13 +94,12 @@ def emit(copies: DataFrame) -> DataFrame:
     return copies.where("taken > 0").repartitionByRange("finish", "source", "doc_id").sortWithinPartitions("finish", "source", "doc_id", "pass")
 
 
-def taken_words(docs: DataFrame, **options) -> DataFrame:
-    """One row per document: doc_id, size, source_size, target, taken.
+def taken_words(docs: DataFrame, weights=WEIGHTS, max_repeats: int = MAX_REPEATS, seed: int = 0, bucket_digits: int = 3) -> DataFrame:
+    """One row per row of docs: doc_id, size, source_size, target, taken, first_start.
 
-    Copies pass through the global range sort first; what a document gave is summed afterwards.
+    A document's copies are summed inside its own row, as no column tells rows that repeat an id apart.
     """
-    options.setdefault("bucket_digits", 3)
-    copies = mix(docs, **options)
-    sent = copies.repartitionByRange("finish", "source", "doc_id").sortWithinPartitions("finish", "source", "doc_id", "pass")
-    # rows that repeat an id and size stay apart: each pass has one row of each of them
-    return sent.groupBy("doc_id", "source", "size", "source_size", "target").agg(F.sum("taken").alias("taken"), F.sum(F.when(F.col("pass") == 0, 1).otherwise(0)).alias("rows"), F.min("start").alias("first_start")).select("doc_id", "size", "source_size", "target", "taken", "first_start")
+    placed = _placed(docs, weights, max_repeats, seed, bucket_digits, ())
+    copies = F.sequence(F.lit(0), F.col("passes") - 1)
+    taken = F.aggregate(copies, F.lit(0).cast("long"), lambda total, k: total + _taken(k * F.col("source_size") + F.col("upto")))
+    return placed.select("doc_id", "size", "source_size", "target", taken.alias("taken"), _start().alias("first_start"))

@@ -322,6 +322,22 @@ def test_mixing_order(spark, corpus):
     assert [r["finish"] for r in rows] == sorted(r["finish"] for r in rows)
 
 
+def test_mixing_keeps_rows_that_repeat_an_id(spark, odd, corpus):
+    rows = mixing.taken_words(odd).collect()
+    assert len(rows) == 8 and sum(r["doc_id"] == 5 for r in rows) == 2
+    assert all(0 <= r["taken"] <= 3 * r["size"] for r in rows)
+    # a small heavy source is taken three times whole, so each of its equal rows gives 3 x size
+    docs = frame(spark, [(7, "one two", "a"), (7, "one two", "a"), (None, "one two", "a"), (None, "one two", "a"), (8, "w " * 500, "b")])
+    assert sorted(r["taken"] for r in mixing.taken_words(docs).collect())[:4] == [6, 6, 6, 6]
+    # what a row gives is what its copies give
+    got, want = Counter(), Counter()
+    for r in mixing.taken_words(corpus[0]).collect():
+        got[r["doc_id"]] += r["taken"]
+    for r in mixing.mix(corpus[0]).collect():
+        want[r["doc_id"]] += r["taken"]
+    assert got == want
+
+
 # ---------------------------------------------------------------- 8 decontamination
 
 
