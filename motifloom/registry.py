@@ -61,10 +61,10 @@ METHODS: dict[str, dict] = {
 }
 
 
-def _strategy(pattern: str, method: str, graph: str, output: str = "rows", name: str | None = None, **more) -> None:
+def _strategy(pattern: str, method: str, graph: str, output: str = "rows", name: str | None = None, sql: bool = True, **more) -> None:
     q = catalogue.by_name(pattern)
     options = METHODS[method] | more if method in METHODS else more
-    _add(name or f"{pattern}_{method}_{graph}", _on(graph, lambda g: api.match(g, q, output=output, **options)), sqlgen.oracle(graph, q, output))
+    _add(name or f"{pattern}_{method}_{graph}", _on(graph, lambda g: api.match(g, q, output=output, **options)), sqlgen.oracle(graph, q, output) if sql else None)
 
 
 for _q in ("q1", "q2", "q3", "q4", "q5", "q6", "q8", "q9"):
@@ -107,6 +107,23 @@ for _q in ("q2", "q5"):
 for _p in api.PRESETS:
     _strategy("q2", "preset", "cobuy", "count", f"q2_preset_{_p}_cobuy", preset=_p)
 
+# ---------------------------------------------------------------- hubs and dense communities
+
+# no SQL: it takes minutes on these graphs, so tests hold them against brute force
+_strategy("q5", "frontier", "coactive", "count", sql=False)
+for _m in ("growth", "clique"):
+    _strategy("q1", _m, "supply", "count", sql=False, compression=True)
+    _strategy("q1", _m, "weblink", "count", sql=False, compression=True)
+    _strategy("q2", _m, "copurchase", "count", sql=False, compression=True)
+for _q in ("q1", "q2", "q3", "q4", "q5", "q6"):
+    _strategy(_q, "growth", "sharedline", "count", sql=False, compression=True)
+    if _q != "q1":
+        _strategy(_q, "growth", "lattice", "count", sql=False, compression=True)
+for _q in ("q2", "q5"):
+    for _s, _o in _SWITCHES.items():
+        _strategy(_q, "growth", "lattice", "count", f"{_q}_growth_{_s}_lattice", sql=False, **METHODS["growth"] | _o)
+        _strategy(_q, "clique", "lattice", "count", f"{_q}_binary_{_s}_lattice", sql=False, **METHODS["clique"] | _o)
+
 # ---------------------------------------------------------------- labelled workload
 
 for _l in ("l1", "l2", "l3", "l4", "l5", "l6", "l7", "l8", "l9"):
