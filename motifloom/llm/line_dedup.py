@@ -1,8 +1,7 @@
 """Line deduplication by a deletion-neighbourhood join, in DataFrame functions only.
 
 A line occurrence is dropped when an equal line, or one within one character edit, occurs earlier in
-the corpus (by document id, then position). Lines under MIN_LENGTH characters are only compared for
-equality: one edit makes a different word of them. Blank lines always stay.
+the corpus (by document id, then position), however short or long it is. Blank lines always stay.
 
 Equal lines meet by a 128-bit hash. For near lines, every line that can have a partner emits its
 deletion neighbourhood as hashed keys: the line itself and all variants with one character deleted;
@@ -28,7 +27,8 @@ from pyspark.sql import functions as F
 
 from motifloom.llm.common import durable
 
-MIN_LENGTH = 20
+#: Shortest line that takes part in the join: every line that is not blank.
+MIN_LENGTH = 1
 BLOCK, MAX_BLOCKS = 32, 64
 #: Up to so many rows of ids are broadcast; beyond that they are joined by a shuffle.
 BROADCAST_ROWS = 100_000

@@ -287,6 +287,16 @@ def test_line_dedup_edges(spark, odd, empty):
     assert kept == {1: "keep this line here once\nother", 2: "fresh"}
 
 
+def test_line_dedup_joins_short_lines_too(spark):
+    docs = [(1, "Hello there\na.\nxy"), (2, "Hello, there\nb.\nyz"), (3, "Hello theres\nq\ncat"), (4, "r\ncart\nact\nq\n19 characters are it"), (5, "19 character are it")]
+    out = {r["doc_id"]: r["dropped"] for r in line_dedup.report(frame(spark, [(i, t, "s") for i, t in docs])).collect()}
+    assert out == {1: "", 2: "0,1", 3: "0", 4: "0,1,3", 5: "0"}  # act and cat, xy and yz are two edits apart
+    rng = np.random.default_rng(6)
+    rows = [(i, "\n".join("".join(rng.choice(list("abé\U0001f600"), rng.integers(0, 7))) for _ in range(4))) for i in range(12)]
+    out = {r["doc_id"]: r["dropped"] for r in line_dedup.report(frame(spark, [(i, t, "s") for i, t in rows])).collect()}
+    assert out == brute_lines(rows)
+
+
 # ---------------------------------------------------------------- 7 mixing
 
 
