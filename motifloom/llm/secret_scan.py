@@ -41,11 +41,12 @@ KINDS = (
     Kind("hex", r"[0-9a-f]{16,}", 0, 16, True),
     Kind("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}"),
     Kind("vendor", r"(?:ghp|gho|glpat|xoxb|xoxp|sk_live|rk_live)[_-][A-Za-z0-9_-]{16,}"),
-    Kind("pem", r"-----BEGIN [A-Z ]{0,20}PRIVATE KEY-----[A-Za-z0-9+/=\s]{0,4096}"),
-    Kind("url", r"://[^\s:/@]{1,64}:([^\s:/@]{6,64})@", 1, 6),
+    Kind("pem", r"-----BEGIN [A-Z ]*PRIVATE KEY-----[A-Za-z0-9+/=\s]*"),
+    Kind("url", r"://[^\s:/@]*:([^\s:/@]{6,})@", 1, 6),
 )
 
-OWNERS, REPOSITORIES = 3, 20
+#: A value with so many owners is a copied example, in however many documents it stands.
+OWNERS = 3
 _BLOCK = 256
 
 
@@ -86,7 +87,7 @@ def candidates(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS) -> DataFrame:
     return durable(found.withColumn("row", F.monotonically_increasing_id()))
 
 
-def ownership(found: DataFrame, owners: int = OWNERS, repositories: int = REPOSITORIES) -> DataFrame:
+def ownership(found: DataFrame, owners: int = OWNERS) -> DataFrame:
     """hash, n_repositories, n_owners, live: how widely each candidate value is spread.
 
     Counts are built from distinct (hash, document) and (hash, owner) pairs, which are pre-aggregated
@@ -96,7 +97,7 @@ def ownership(found: DataFrame, owners: int = OWNERS, repositories: int = REPOSI
     repos = seen.groupBy("hash", "doc_id").agg(F.lit(1).alias("one")).groupBy("hash").agg(F.count(F.lit(1)).alias("n_repositories"))
     owned = seen.groupBy("hash", "owner").agg(F.lit(1).alias("one")).groupBy("hash").agg(F.count(F.lit(1)).alias("n_owners"))
     spread = repos.join(owned, "hash")
-    return spread.withColumn("live", (F.col("n_owners") < owners) & (F.col("n_repositories") < repositories))
+    return spread.withColumn("live", F.col("n_owners") < owners)
 
 
 def _text_of(spans: Column) -> Column:
@@ -108,10 +109,10 @@ def _count(kind: Kind) -> Column:
     return F.size(F.filter("spans", lambda s: s["kind"] == F.lit(kind.name)))
 
 
-def scan(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, owners: int = OWNERS, repositories: int = REPOSITORIES) -> DataFrame:
+def scan(docs: DataFrame, kinds: tuple[Kind, ...] = KINDS, owners: int = OWNERS) -> DataFrame:
     """One row per row of docs: doc_id, n_<base kind>…, base_sha256, spans, n_live, n_copied."""
     found = candidates(docs, kinds)
-    verdicts = ownership(found, owners, repositories).select("hash", "live")
+    verdicts = ownership(found, owners).select("hash", "live")
     each = found.where(F.size("spans") > 0).select("row", F.explode("spans").alias("span")).select("row", "span", F.col("span.hash").alias("hash"))
     judged = each.join(verdicts, "hash").groupBy("row").agg(
         F.collect_list(F.when(F.col("span.base") | F.col("live"), F.col("span"))).alias("reported"),

@@ -102,6 +102,16 @@ def test_secrets_edges_and_ownership(spark, odd, empty):
     assert secret_scan.scan(odd).count() == 8 and secret_scan.scan(empty).count() == 0
 
 
+def test_secrets_of_one_owner_stay_live_in_many_documents(spark):
+    pem = "-----BEGIN RSA PRIVATE KEY-----" + "A1b2" * 1500
+    texts = [pem, "x://" + "u" * 70 + ":" + "p" * 90 + "@h", "x://:secret6@h"]
+    rows = [(i, "eyJzzzzzzzzz.eyJyyyyyyyy.xxxxxxxxxxx", "one") for i in range(25)] + [(100 + i, t, "s") for i, t in enumerate(texts)]
+    out = {r["doc_id"]: r for r in secret_scan.scan(frame(spark, rows)).collect()}
+    assert all("jwt:0:" in out[i]["spans"] and out[i]["n_copied"] == 0 for i in range(25))
+    assert [s.split(":")[1:] for s in out[100]["spans"].split(",") if "pem" in s] == [["0", str(len(pem))]]
+    assert "url:1:" in out[101]["spans"] and "url:1:" in out[102]["spans"]
+
+
 # ---------------------------------------------------------------- 2 exact dedup
 
 
