@@ -335,8 +335,22 @@ def model_spans(texts: list[str], tagger: Tagger, most: int = 256) -> list[list[
             low, high = np.maximum(marks - WINDOW + MARGIN + STRIDE, 0) // STRIDE, (marks + MARGIN) // STRIDE
             near = np.unique(np.concatenate([low, marks // STRIDE, np.minimum(high, (len(text) - 1) // STRIDE)]))
             jobs += [(i, int(w)) for w in near]
-    found: list[list[tuple[int, int, int]]] = [[] for _ in texts]
     labels: dict[tuple[int, int], np.ndarray] = {}
+    found: list[list[tuple[int, int, int]]] = [[] for _ in texts]
+    by_text: dict[int, list[int]] = {}
+    while jobs:
+        _decode(texts, tagger, jobs, labels, most)
+        for i, w in jobs:
+            by_text.setdefault(i, []).append(w)
+        changed, jobs = sorted({i for i, _ in jobs}), []
+        for i in changed:
+            found[i], beyond = _join(texts[i], i, sorted(by_text[i]), labels)
+            jobs += [(i, w) for w in beyond]
+    return found
+
+
+def _decode(texts: list[str], tagger: Tagger, jobs: list[tuple[int, int]], labels: dict, most: int) -> None:
+    """Adds to labels what the windows in jobs decide."""
     known: tuple[int, np.ndarray] = (-1, np.empty(0))
     for k in range(0, len(jobs), most):
         part = jobs[k : k + most]
@@ -349,17 +363,22 @@ def model_spans(texts: list[str], tagger: Tagger, most: int = 256) -> list[list[
             ids[r, max(-a, 0) : max(-a, 0) + len(piece)] = piece
         for (i, w), row in zip(part, tagger.decode(ids)):
             labels[i, w] = row[MARGIN : MARGIN + STRIDE]
-    # join what neighbouring windows decided, then read off the spans
-    by_text: dict[int, list[int]] = {}
-    for i, w in jobs:
-        by_text.setdefault(i, []).append(w)
-    for i, ws in by_text.items():
-        runs = np.split(np.array(ws), np.flatnonzero(np.diff(ws) != 1) + 1)
-        for run in runs:
-            row = np.concatenate([labels[i, int(w)] for w in run])
-            start = int(run[0]) * STRIDE
-            found[i] += _read(row[: len(texts[i]) - start], start, texts[i])
-    return found
+
+
+def _join(text: str, i: int, ws: list[int], labels: dict) -> tuple[list[tuple[int, int, int]], list[int]]:
+    """Spans of what neighbouring windows decided, and the windows still to decode as a span reaches them."""
+    spans, beyond, last = [], set(), (len(text) - 1) // STRIDE
+    for run in np.split(np.array(ws), np.flatnonzero(np.diff(ws) != 1) + 1):
+        row = np.concatenate([labels[i, int(w)] for w in run])
+        start = int(run[0]) * STRIDE
+        row = row[: len(text) - start]
+        for kind, a, b in _read(row, start, text):
+            spans.append((kind, a, b))
+            if a == start and run[0] > 0:
+                beyond.add(int(run[0]) - 1)
+            if b == start + len(row) and run[-1] < last:
+                beyond.add(int(run[-1]) + 1)
+    return spans, sorted(beyond)
 
 
 def _read(row: np.ndarray, offset: int, text: str):

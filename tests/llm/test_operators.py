@@ -181,6 +181,20 @@ def test_tagger_learns_and_gates_exactly():
         assert (up - down) / (2 * eps) == pytest.approx(grads[name][at], rel=0.15, abs=1e-2)
 
 
+def test_gated_spans_reach_into_windows_without_a_mark():
+    space = int(pii.classes(" ")[0])
+
+    class Words:
+        """Labels every word as one span, so that what all windows would say is known."""
+
+        def decode(self, ids):
+            return np.where((ids == space) | (ids == pii.PAD), 0, 2)
+
+    texts = ["no mark here", "word " * 40 + "a" * 300 + "@" + "b" * 300 + " tail" * 40, "x" * 200 + "@", "@" + "y" * 200, "word " * 12 + "local" * 4 + "@d.org " + "word " * 30 + "z" * 90 + "7"]
+    for text, got in zip(texts, pii.model_spans(texts, Words(), 3)):
+        assert sorted(got) == sorted(pii._read(np.where(pii.classes(text) == space, 0, 2), 0, text))
+
+
 def test_pii_query_edges(spark, odd, empty):
     tagger = pii.Tagger(5)
     assert pii.scan(odd, tagger).count() == 8 and pii.scan(empty, tagger).count() == 0
