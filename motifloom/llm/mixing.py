@@ -3,9 +3,9 @@
 Each source is a queue served in proportion to its target. Its documents stand in a shuffled order
 (by the MD5 of seed and id) and its queue repeats, up to max_repeats passes. A document copy's
 virtual finish time is the source's cumulative words up to its end divided by the source's target,
-so at virtual time 1 every queue has sent exactly its target. All copies are sorted by virtual
-finish time across sources and the mix is cut at the total budget: the copy that straddles its
-queue's end is cut to the words that remain.
+so at virtual time 1 every queue has sent exactly its target. Each queue is cut there: the copy that
+straddles its queue's end is cut to the words that remain. emit() sorts all copies by virtual finish
+time across sources.
 
 Running totals are two-level: sums per hash bucket, a running sum over the buckets, and a running
 sum inside each bucket. No task ever holds a whole source or the whole mix.
