@@ -5,7 +5,6 @@ from __future__ import annotations
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from motifloom.operators import batching as batches_
 from motifloom.operators import binary, cliquebud, compress, frontier, growth, hybrid, hypercube, replicate, wco
@@ -99,12 +98,15 @@ def match(
     else:
         make = lambda k, b: hybrid.run(g, q, symmetry=symmetry)
     b = batching or 1
+    if output == "count" and b > 1:
+        # one job after the other, so that only one batch is in memory
+        matches = batches_.total(lambda k, n: compress.count(make(k, n), q, ordered, same), b)
+        return g.spark.createDataFrame([(matches,)], "matches bigint")
     parts = [make(k, b) for k in range(b)]
     if output == "compressed":
         return reduce(DataFrame.unionByName, parts)
     if output == "count":
-        counts = reduce(DataFrame.unionByName, [compress.count(p, q, ordered, same) for p in parts])
-        return counts if b == 1 else counts.agg(F.sum("matches").cast("bigint").alias("matches"))
+        return compress.count(parts[0], q, ordered, same)
     rows = reduce(DataFrame.unionByName, [compress.expand(p, q, ordered) for p in parts])
     return rows.limit(limit) if limit is not None else rows
 

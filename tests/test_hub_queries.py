@@ -6,7 +6,8 @@ from itertools import combinations
 
 import pytest
 
-from motifloom import registry
+from motifloom import api, registry
+from motifloom.operators.graph import from_lists
 from motifloom.plans import catalogue
 
 START = datetime(2024, 1, 1)
@@ -72,3 +73,11 @@ def test_queries_without_sql_match_brute_force(spark, given):
         rows = got.collect()
         assert (len(rows) if "v1" in got.columns else rows[0][0]) == want[pattern, graph], name
     assert all(want[q, g] for q, g in (("q1", "supply"), ("q1", "weblink"), ("q2", "copurchase"), ("q5", "coactive"), ("q3", "sharedline")))
+
+
+@pytest.mark.parametrize("options", [{"strategy": "growth"}, {"strategy": "binary", "unit": "clique"}], ids=str)
+def test_batched_counts_run_one_job_after_the_other(spark, options):
+    g = from_lists(spark, GRAPHS["copurchase"], relabel=False)
+    out = api.match(g, catalogue.unlabelled("q2"), output="count", batching=2, triangle_index="full", **options)
+    assert "Union" not in out._jdf.queryExecution().logical().toString()
+    assert out.collect()[0][0] == len(catalogue.unlabelled("q2").brute_force(GRAPHS["copurchase"]))
