@@ -66,7 +66,7 @@ _EXACT_SQL = (
 
 _MIX_SQL = """
 WITH d AS (
-  SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size, md5('0:' || coalesce(CAST(doc_id AS VARCHAR), '')) AS h FROM documents
+  SELECT row_number() OVER () AS rn, doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size, md5('0:' || coalesce(CAST(doc_id AS VARCHAR), '')) AS h FROM documents
 ), s AS (
   SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM d GROUP BY source
 ), w AS (
@@ -79,14 +79,21 @@ WITH d AS (
 ), t AS (
   SELECT source, source_size, least(CAST(cap AS DOUBLE), weight * coalesce((SELECT level FROM l WHERE level <= ratio ORDER BY ratio, source NULLS LAST LIMIT 1), 0.0)) AS target FROM l
 ), r AS (
-  SELECT d.doc_id, d.source, d.size, t.source_size, t.target, sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto
+  SELECT d.rn, d.doc_id, d.source, d.h, d.size, t.source_size, t.target,
+    sum(d.size) OVER (PARTITION BY d.source ORDER BY d.h, d.doc_id, d.size, d.rn ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto
   FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
 ), p AS (
-  SELECT r.*, k, k * source_size + upto AS u FROM r, (SELECT unnest([0, 1, 2]) AS k) WHERE k < greatest(1, least(3, CAST(ceil(target / greatest(source_size, 1)) AS INTEGER)))
+  SELECT r.*, k, j, least(size, (j + 1) * 64) - j * 64 AS words, k * source_size + upto - size + least(size, (j + 1) * 64) AS e
+  FROM r, (SELECT unnest([0, 1, 2]) AS k) AS ks, unnest(range(0, greatest(1, (size + 63) // 64))) AS js(j)
+  WHERE k < greatest(1, least(3, CAST(ceil(target / greatest(source_size, 1)) AS INTEGER)))
+), f AS (
+  SELECT *, CASE WHEN target > 0 THEN CAST(e AS DOUBLE) / target ELSE 0.0 END AS finish FROM p
+), m AS (
+  SELECT *, (SELECT sum(source_size) FROM s) - (sum(words) OVER (ORDER BY finish, source NULLS LAST, h, doc_id, size, rn, k, j ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) - words) AS room FROM f
 )
-SELECT doc_id, size, source_size, target, CAST(sum(greatest(0, least(size, CAST(floor(target) AS BIGINT) - (u - size)))) AS BIGINT) AS taken,
-  min(CASE WHEN target > 0 THEN CAST(u - size AS DOUBLE) / target ELSE 0.0 END) AS first_start
-FROM p GROUP BY doc_id, source, size, source_size, target
+SELECT doc_id, size, source_size, target, CAST(sum(greatest(0, least(words, room))) AS BIGINT) AS taken,
+  CASE WHEN target > 0 THEN CAST(upto - size AS DOUBLE) / target ELSE 0.0 END AS first_start
+FROM m GROUP BY rn, doc_id, size, source_size, target, upto
 """
 
 _CONTROLS = ("<s>", "[INST]", "[/INST]", "<<SYS>>", "<</SYS>>", "<ANS>", "</s>", "<ROLE>", "</ROLE>", "<END>")

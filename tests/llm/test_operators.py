@@ -338,7 +338,8 @@ def test_mixing_targets_and_limits(spark, corpus, odd, empty):
         assert r["size"] == len(re.findall(r"[^\x20\x09-\x0D]+", texts[r["doc_id"]] or ""))
     assert sum(target.values()) == pytest.approx(sum(size.values()))
     for s in target:
-        assert abs(got[s] - target[s]) <= 1 and target[s] <= 3 * size[s] + 1e-6
+        assert abs(got[s] - target[s]) <= mixing.PACKET and target[s] <= 3 * size[s] + 1e-6
+    assert sum(got.values()) == sum(size.values())  # the cut is at the total budget
     assert sorted(map(tuple, rows)) == sorted(map(tuple, mixing.taken_words(docs).collect()))
     assert mixing.taken_words(empty).count() == 0
     assert {r["doc_id"]: r["size"] for r in mixing.taken_words(odd).collect()}[1] == 0
@@ -367,9 +368,55 @@ def test_mixing_keeps_rows_that_repeat_an_id(spark, odd, corpus):
     got, want = Counter(), Counter()
     for r in mixing.taken_words(corpus[0]).collect():
         got[r["doc_id"]] += r["taken"]
-    for r in mixing.mix(corpus[0]).collect():
+    copies = mixing.mix(corpus[0], carry=("lang",)).collect()
+    for r in copies:
         want[r["doc_id"]] += r["taken"]
-    assert got == want
+    assert got == want and all(r["lang"] for r in copies)
+
+
+def brute_mix(rows, weights=(5, 2, 1), packet=64):
+    """taken of every (doc_id, words, source), by sorting all packets of all queues in one list."""
+    size = Counter()
+    for _, n, s in rows:
+        size[s] += n
+    names = sorted(size, key=lambda s: (s is None, s))
+    weight = {s: weights[i % len(weights)] for i, s in enumerate(names)}
+    target, open_, rest = {}, set(names), sum(size.values())
+    while open_:
+        level = rest / sum(weight[s] for s in open_)
+        full = {s for s in open_ if level * weight[s] > 3 * size[s]}
+        if not full:
+            target |= {s: level * weight[s] for s in open_}
+            break
+        target |= {s: 3 * size[s] for s in full}
+        rest -= sum(3 * size[s] for s in full)
+        open_ -= full
+    line = []
+    for s in names:
+        queue = sorted((hashlib.md5(f"0:{'' if i is None else i}".encode()).hexdigest(), n, at) for at, (i, n, x) in enumerate(rows) if x == s)
+        clock = 0
+        for turn in range(3):
+            for key, n, at in queue:
+                for k in range(0, n, packet):
+                    words = min(packet, n - k)
+                    clock += words
+                    line.append((clock / target[s], s is None, s, key, n, at, turn, k, words))
+    taken, room = Counter(), sum(size.values())
+    for *_, at, _, _, words in sorted(line, key=lambda x: (x[0], x[1], x[2] or "", x[3:])):
+        taken[at] += min(words, room)
+        room -= min(words, room)
+    return [taken[at] for at in range(len(rows))]
+
+
+def test_mixing_matches_brute_force(spark, corpus):
+    texts = corpus[1]
+    for rows in (
+        [(r["doc_id"], len(re.findall(r"[^\x20\x09-\x0D]+", texts[r["doc_id"]] or "")), r["source"]) for r in corpus[0].collect()],
+        [(i, int(n), s) for i, (n, s) in enumerate(zip(np.random.default_rng(3).integers(0, 300, 90), ["a", "b", None, "a", "a", "d"] * 15))],
+    ):
+        docs = frame(spark, [(i, "w " * n, s) for i, n, s in rows])
+        got = {r["doc_id"]: r["taken"] for r in mixing.taken_words(docs).collect()}
+        assert got == {i: n for (i, _, _), n in zip(rows, brute_mix(rows))}
 
 
 # ---------------------------------------------------------------- 8 decontamination
