@@ -2,16 +2,15 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import DataFrame, SparkSession
 
 from motifloom.operators import batching as batches_
 from motifloom.operators import binary, cliquebud, compress, frontier, growth, hybrid, hypercube, replicate, wco
+from motifloom.operators.batching import BatchSpec
 from motifloom.operators.graph import DataGraph
 from motifloom.plans import optimize
 from motifloom.plans.advisor import advise
-from motifloom.plans.ir import use_symmetry
+from motifloom.plans.ir import JoinNode, UnitNode, use_symmetry
 from motifloom.plans.pattern import QueryGraph
 
 #: The surveyed algorithms as fixed settings: `published` as first described, `full` with all optimizations.
@@ -43,7 +42,7 @@ def match(
     order="greedy",
     proposer: str = "min_degree",
     execution: str = "array",
-    batching: int | None = None,
+    batching: int | BatchSpec | None = None,
     triangle_index: str | None = None,
     compression: bool = False,
     symmetry: str = "auto",
@@ -55,36 +54,46 @@ def match(
     kernel: str | None = None,
     heuristic: str = "min_comm",
     hint: str | None = None,
+    tree: JoinNode | UnitNode | None = None,
+    ranges: int = 1,
+    split: str = "vertex",
 ) -> DataFrame:
     """All matches of q in g.
 
     output: rows (v1..vn), count (one row, matches) or compressed (v and c columns). batching is a
-    number of batches. Hypercube shares and replication take no optimizations and say so.
+    number of batches, or a BatchSpec that derives it from the estimated size; batches run one after the
+    other, when match is called, and rows come back from the shared folder. tree gives a join tree of
+    one's own, ranges runs each of its joins in so many parts. Strategies other than growth and binary
+    take no optimizations and say so.
     """
     if preset:
         chosen = PRESETS[preset]["published"] | (PRESETS[preset]["full"] if form == "full" else {})
         return match(g, q, **({"symmetry": symmetry, "output": output, "limit": limit} | chosen))
     if strategy == "auto":
         advice = advise(g, q)
-        strategy, compression = advice.strategy, compression or advice.compression
-        if strategy in ("hypercube", "replicated", "frontier", "wco", "hybrid", "cliquebud"):
-            compression = False
+        strategy = advice.strategy
+        if strategy in ("growth", "binary"):
+            compression = compression or advice.compression
+            triangle_index = triangle_index or ("full" if advice.triangle_index else None)
+            batching = batching or BatchSpec()
+            order = advice.order if strategy == "growth" and order == "greedy" else order
     if strategy not in STRATEGIES:
         raise ValueError(f"no such strategy: {strategy}")
-    if strategy in ("hypercube", "replicated") and (batching or triangle_index or compression):
+    if strategy not in ("growth", "binary") and (batching or triangle_index or compression):
         raise ValueError(f"batching, triangle index and compression are not for the strategy {strategy}")
     ordered = use_symmetry(q, symmetry)
     same: tuple = ()
+    spec = batching if isinstance(batching, BatchSpec) else BatchSpec()
     if strategy == "growth":
         plan = optimize.growth_plan(q, order, compression, triangle_index, g.label_counts() if q.labelled else None, symmetry)
         same = growth.same_arrays(q, plan, ordered) if g.whole_lists else ()  # chunks of a list are not the same array
         make = lambda k, b: growth.run(g, q, plan, triangle_index=triangle_index, proposer=proposer, execution=execution, symmetry=symmetry, batch=(k, b) if b > 1 else None, hint=hint)
     elif strategy == "binary":
-        tree = binary.plan(g, q, unit, shape, overlap, cost)
-        vertex, cache = batches_.pick_binary(tree), {}
-        if compression and batching and any(vertex in u.arrays for u in binary.with_arrays(tree).leaves):
-            batching = None  # a single unit: nothing is joined, so nothing is to batch
-        make = lambda k, b: binary.run(g, q, tree, compression=compression, triangle_index=triangle_index, symmetry=symmetry, batch=(vertex, k, b) if b > 1 else None, hint=hint, cache=cache if b > 1 else None)
+        tree = tree or binary.plan(g, q, unit, shape, overlap, cost, triangle_index, order if order == "cover_first" else None)
+        tree = binary.with_arrays(tree, q, triangle_index, ordered) if compression else tree
+        vertex = batches_.pick_binary(tree)
+        cache: dict | None = {} if spec.miss == "cache" else None
+        make = lambda k, b: binary.run(g, q, tree, triangle_index=triangle_index, symmetry=symmetry, batch=(vertex, k, b) if b > 1 else None, hint=hint, cache=cache if b > 1 else None, ranges=ranges)
     elif strategy == "hypercube":
         make = lambda k, b: hypercube.run(g, q, cells, shares=shares, dedupe=dedupe, kernel=kernel or ("candidate" if q.labelled else "cover"), symmetry=symmetry)
     elif strategy == "replicated":
@@ -94,21 +103,17 @@ def match(
     elif strategy == "cliquebud":
         make = lambda k, b: cliquebud.run(g, q, symmetry=symmetry)
     elif strategy == "wco":
-        make = lambda k, b: wco.run(g, q, symmetry=symmetry)
+        make = lambda k, b: wco.run(g, q, symmetry=symmetry, split=split)
     else:
         make = lambda k, b: hybrid.run(g, q, symmetry=symmetry)
-    b = batching or 1
-    if output == "count" and b > 1:
-        # one job after the other, so that only one batch is in memory
-        matches = batches_.total(lambda k, n: compress.count(make(k, n), q, ordered, same), b)
-        return g.spark.createDataFrame([(matches,)], "matches bigint")
-    parts = [make(k, b) for k in range(b)]
-    if output == "compressed":
-        return reduce(DataFrame.unionByName, parts)
+    b = spec.batches(binary.sizer(g, q)(q.edges)) if isinstance(batching, BatchSpec) else batching or 1
     if output == "count":
-        return compress.count(parts[0], q, ordered, same)
-    rows = reduce(DataFrame.unionByName, [compress.expand(p, q, ordered) for p in parts])
-    return rows.limit(limit) if limit is not None else rows
+        counted = lambda k, n: compress.count(make(k, n), q, ordered, same)
+        # one job after the other, so that only one batch is in memory
+        return counted(0, 1) if b == 1 else g.spark.createDataFrame([(batches_.total(counted, b, spec),)], "matches bigint")
+    shown = make if output == "compressed" else lambda k, n: compress.expand(make(k, n), q, ordered)
+    rows = shown(0, 1) if b == 1 else batches_.in_turn(shown, b, spec)
+    return rows if output == "compressed" or limit is None else rows.limit(limit)
 
 
 def sql_match(spark: SparkSession, pattern: str, g: DataGraph, view: str = "matches", **options) -> DataFrame:

@@ -21,7 +21,8 @@ STEP = 1 << 20
 class Csr:
     """Arcs u -> v (both directions of an undirected edge) with positions for ids."""
 
-    def __init__(self, u: np.ndarray, v: np.ndarray, labels: dict[int, int] | None = None):
+    def __init__(self, u: np.ndarray, v: np.ndarray, labels: dict[int, int] | tuple[np.ndarray, np.ndarray] | None = None):
+        """labels: a dict, or sorted ids and their labels."""
         self.ids = np.unique(np.concatenate([u, v])) if len(u) else np.empty(0, np.int64)
         n = self.n = len(self.ids)
         a, b = np.searchsorted(self.ids, u), np.searchsorted(self.ids, v)
@@ -29,7 +30,18 @@ class Csr:
         self.indices = self.keys % max(n, 1)
         self.indptr = np.searchsorted(self.keys, np.arange(n + 1) * n)
         self.degree = np.diff(self.indptr)
-        self.labels = np.array([labels.get(int(i), -1) for i in self.ids], np.int64) if labels is not None else None
+        self.labels = None
+        if labels is not None:
+            known = labels if isinstance(labels, tuple) else tuple(np.array(x, np.int64) for x in zip(*sorted(labels.items())))
+            self.labels = np.full(n, -1, np.int64)
+            if len(known) and len(known[0]):
+                at = np.searchsorted(known[0], self.ids).clip(max=len(known[0]) - 1)
+                here = known[0][at] == self.ids
+                self.labels[here] = known[1][at][here]
+
+    @property
+    def nbytes(self) -> int:
+        return sum(x.nbytes for x in (self.ids, self.keys, self.indices, self.indptr, self.degree, self.labels) if x is not None)
 
     def has(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         key = a * self.n + b
@@ -122,8 +134,8 @@ def pieces(q: QueryGraph) -> tuple[tuple[int, ...], tuple[int, ...]] | None:
     return None
 
 
-def _subset_order(q: QueryGraph, chosen: tuple[int, ...]) -> tuple[int, ...]:
-    order = [max(chosen, key=lambda v: (len(q.adjacency[v] & set(chosen)), -v))]
+def _subset_order(q: QueryGraph, chosen: tuple[int, ...], lead: int | None = None) -> tuple[int, ...]:
+    order = [lead or max(chosen, key=lambda v: (len(q.adjacency[v] & set(chosen)), -v))]
     while len(order) < len(chosen):
         rest = [v for v in chosen if v not in order and q.adjacency[v] & set(order)]
         order.append(min(rest, key=lambda v: (-len(q.adjacency[v] & set(order)), v)))
@@ -131,15 +143,18 @@ def _subset_order(q: QueryGraph, chosen: tuple[int, ...]) -> tuple[int, ...]:
 
 
 def decompose(csr: Csr, q: QueryGraph, symmetry: bool, seeds: np.ndarray | None = None) -> Iterator[np.ndarray]:
-    """Two pieces by expansion, glued by a merge join on the vertices they share."""
+    """Two pieces by expansion, glued by a merge join on the vertices they share.
+
+    Seeds are images of the first vertex of the cover order: each piece that holds it starts from them.
+    """
     parts = pieces(q)
-    if parts is None or seeds is not None:
+    if parts is None:
         yield from cover(csr, q, symmetry, seeds)
         return
-    tables = []
+    tables, lead = [], cover_first(q)[0]
     for chosen in parts:
-        order = _subset_order(q, chosen)
-        blocks = list(_grow(csr, q, order, symmetry, None, _allowed(csr, q)))
+        order = _subset_order(q, chosen, lead if seeds is not None and lead in chosen else None)
+        blocks = list(_grow(csr, q, order, symmetry, seeds if order[0] == lead else None, _allowed(csr, q)))
         tables.append((order, np.concatenate(blocks) if blocks else np.empty((0, len(order)), np.int64)))
     (oa, a), (ob, b) = tables
     shared = [v for v in oa if v in ob]

@@ -5,16 +5,19 @@ Logical ownership is arithmetic (vertex id mod w), so that SQL can recompute eve
 
 from __future__ import annotations
 
+import threading
 import time
+import uuid
 from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifloom.operators import binary, growth, hypercube
+from motifloom.operators import binary, frontier, growth, hypercube, partition
+from motifloom.operators.batching import out_of_memory
 from motifloom.operators.graph import DataGraph
-from motifloom.plans import optimize
+from motifloom.plans import estimate, optimize
 from motifloom.plans.ir import JoinNode, UnitNode, joins_of, use_symmetry
 from motifloom.plans.pattern import QueryGraph
 
@@ -33,26 +36,95 @@ def intermediates(g: DataGraph, q: QueryGraph, order="greedy") -> DataFrame:
 
 
 def growth_comm(g: DataGraph, q: QueryGraph, w: int, order="greedy") -> DataFrame:
-    """total, worst: integers that prefixes take to the owners of the vertices they visit.
+    """total, worst: integers that prefixes and their candidates take to the owners of the vertices they visit.
 
-    In each round a prefix visits its placed neighbours in ascending order; a visit costs the ids
-    placed, and nothing where the prefix is already.
+    In each round a prefix visits its placed neighbours in ascending order, so by ascending degree. A
+    visit costs the ids placed and the candidates carried so far (none at the first), and nothing where
+    the prefix is already. A prefix stays where its last visit was.
     """
     plan = optimize.growth_plan(q, order)
-    parts = []
+    near = g.adjacency()
+    parts, last = [], F.col(f"v{plan.order[0]}")
     for k, r in enumerate(plan.rounds):
-        if k == 0:
-            continue
-        rows = growth.run(g, q, plan, rounds_only=k)
-        stops = F.array_sort(F.array(*[F.col(f"v{y}") for y in r.back]))
-        came_from = F.col(f"v{plan.rounds[k - 1].back[0]}")
-        owners = F.transform(stops, lambda v: F.pmod(v, F.lit(w)))
-        path = F.concat(F.array(F.pmod(came_from, F.lit(w))), owners)
-        moved = F.zip_with(F.slice(path, 1, len(r.back)), owners, lambda a, b: F.when(a != b, b).otherwise(F.lit(-1)))
-        parts.append(rows.select(F.explode(moved).alias("owner")).where("owner >= 0").select("owner", F.lit(k + 1).cast("bigint").alias("ints")))
+        if k:
+            rows = growth.run(g, q, plan, rounds_only=k).withColumn("_from", last)
+            stops = F.array_sort(F.array(*[F.col(f"v{y}") for y in r.back]))
+            rows = rows.withColumn("_stops", stops).withColumn("_carried", F.lit(0).cast("bigint"))
+            for j in range(len(r.back)):
+                owner = F.pmod(F.get("_stops", F.lit(j)), F.lit(w))
+                parts.append(rows.where(F.pmod("_from", F.lit(w)) != owner).select(owner.alias("owner"), (F.lit(k + 1) + F.col("_carried")).cast("bigint").alias("ints")))
+                if j + 1 < len(r.back):
+                    rows = rows.withColumn("_at", F.get("_stops", F.lit(j)))
+                    rows = rows.join(near.select(F.col("u").alias("_u"), F.col("nbrs").alias("_m")), F.col("_at") == F.col("_u"))
+                    held = F.col("_m") if j == 0 else F.array_intersect("_held", "_m")
+                    rows = rows.withColumn("_held", held).withColumn("_carried", F.size("_held").cast("bigint")).withColumn("_from", F.col("_at")).drop("_m", "_u", "_at")
+        last = F.greatest(*[F.col(f"v{y}") for y in r.back]) if len(r.back) > 1 else F.col(f"v{r.back[0]}")
     return _spread(reduce(DataFrame.unionByName, parts), w)
 
 
+def frontier_comm(g: DataGraph, q: QueryGraph, w: int) -> DataFrame:
+    """total, worst: ids of the rows that each superstep of frontier expansion (fixed choice) takes to the next vertex's owner."""
+    ordered, first = use_symmetry(q), max(q.vertices, key=lambda v: (q.degree(v), -v))
+    rows = g.vertices.select(F.col("id").alias(f"v{first}"))
+    bound, black, at, parts = frozenset({first}), frozenset(), first, []
+    while gray := frontier._unverified(q, bound, black):
+        v = gray[0]
+        owner = F.pmod(f"v{v}", F.lit(w))
+        parts.append(rows.where(owner != F.pmod(f"v{at}", F.lit(w))).select(owner.alias("owner"), F.lit(len(bound)).cast("bigint").alias("ints")))
+        rows = frontier.expand(rows, g, q, v, bound, black, ordered)
+        bound, black, at = bound | q.adjacency[v], black | {v}, v
+    return _spread(reduce(DataFrame.unionByName, parts), w)
+
+
+def replication_comm(g: DataGraph, machines: int) -> DataFrame:
+    """total, worst: two integers per edge to every machine when the graph is loaded; matching moves nothing."""
+    return g.edges.agg((F.count(F.lit(1)) * 2 * machines).alias("total"), (F.count(F.lit(1)) * 2).alias("worst"))
+
+
+def rounds(g: DataGraph, q: QueryGraph) -> DataFrame:
+    """strategy, rounds: how often partial results are exchanged."""
+    steps, bound, black = 0, frozenset({max(q.vertices, key=lambda v: (q.degree(v), -v))}), frozenset()
+    while gray := frontier._unverified(q, bound, black):
+        bound, black, steps = bound | q.adjacency[gray[0]], black | {gray[0]}, steps + 1
+    depth = lambda n: 0 if isinstance(n, UnitNode) else 1 + max(depth(n.left), depth(n.right))
+    rows = [("growth", q.n - 1), ("binary_edge", depth(binary.plan(g, q, "edge"))), ("binary_wedge", depth(binary.plan(g, q, "wedge", "left_deep"))), ("binary_clique", depth(binary.plan(g, q, triangle_index="full"))), ("hypercube", 1), ("frontier", steps), ("replicated", 0)]
+    return g.spark.createDataFrame(rows, "strategy string, rounds bigint")
+
+
+def sampled_count(g: DataGraph, q: QueryGraph, parts: int = 10, part: int = 0) -> DataFrame:
+    """matches: those whose first placed vertex lies in one of `parts` hash parts, times their number."""
+    from motifloom.operators import compress
+
+    plan = optimize.growth_plan(q, compression=True)
+    rows = growth.run(g, q, plan, batch=(part, parts))
+    return compress.count(rows, q, use_symmetry(q)).select((F.col("matches") * parts).alias("matches"))
+
+
+def q_errors(g: DataGraph, patterns: dict[str, QueryGraph]) -> DataFrame:
+    """pattern, true, power_law, uniform (q-errors) and bound_log (log10 of the worst-case bound)."""
+    import math
+
+    from motifloom import api
+
+    out = []
+    for name, q in patterns.items():
+        true = api.match(g, q, "growth", output="count", compression=True).first()[0]
+        out.append((name, true, *[round(estimate.q_error(f(q, g.stats), true), 4) for f in (estimate.power_law, estimate.uniform)], round(math.log10(max(estimate.bound(q, g.stats["m"]), 1)), 4)))
+    return g.spark.createDataFrame(out, "pattern string, true bigint, power_law double, uniform double, bound_log double")
+
+
+def partition_cost(g: DataGraph, w: int) -> DataFrame:
+    """kind, seconds to build, avg_edges, max_edges of the hash partition and both triangle partitions."""
+    out = []
+    for kind, build in (("hash", lambda: g.adjacency().count()), ("triangle_ordered", lambda: partition.triangle_index(g, True).count()), ("triangle", lambda: partition.triangle_index(g).count())):
+        began = time.perf_counter()
+        build()
+        took = time.perf_counter() - began
+        sizes = (partition.hash_stats(g, w) if kind == "hash" else partition.triangle_stats(g, w, kind == "triangle_ordered")).first()
+        out.append((kind, took, float(sizes["avg_edges"]), sizes["max_edges"]))
+    return g.spark.createDataFrame(out, "kind string, seconds double, avg_edges double, max_edges bigint")
+
+
 def binary_comm(g: DataGraph, q: QueryGraph, w: int, tree: JoinNode | UnitNode | None = None) -> DataFrame:
     """total, worst: integers that the inputs of all joins take to the owner of their key (sum of its ids mod w)."""
     tree = tree or binary.plan(g, q)
@@ -99,19 +171,35 @@ def compression_ratio(g: DataGraph, q: QueryGraph, order="greedy") -> DataFrame:
 
 
 def timed(make: Callable[[], DataFrame], repeat: int = 3, cap: float = CAP) -> dict:
-    """Wall clock of an action: median and mean of some runs, and how it ended."""
+    """Wall clock of an action: median and mean of some runs, and how it ended.
+
+    A run beyond the cap is cancelled with all its jobs.
+    """
     seconds, status, value = [], "finished", None
     for _ in range(repeat):
+        group, late = f"timed-{uuid.uuid4().hex}", threading.Event()
+        context = SparkSession.getActiveSession().sparkContext
+
+        def stop():
+            late.set()
+            context.cancelJobGroupAndFutureJobs(group)
+
+        timer = threading.Timer(cap, stop)
+        context.setJobGroup(group, "timed run", interruptOnCancel=True)
         began = time.perf_counter()
+        timer.start()
         try:
             value = make().first()[0]
+            if late.is_set():
+                status = "over time"
         except Exception as e:  # noqa: BLE001 - an experiment records how a run ends
-            status = "out of memory" if "OutOfMemory" in str(e) else "failed"
+            status = "over time" if late.is_set() else "out of memory" if out_of_memory(e) else "failed"
+        finally:
+            timer.cancel()
+            context.setLocalProperty("spark.jobGroup.id", None)
+        if status != "finished":
             break
         seconds.append(time.perf_counter() - began)
-        if seconds[-1] > cap:
-            status = "over time"
-            break
     seconds.sort()
     return {"status": status, "value": value, "median_s": seconds[len(seconds) // 2] if seconds else None, "mean_s": sum(seconds) / len(seconds) if seconds else None}
 

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from motifloom.operators import compress as packed
+from motifloom.operators.batching import hash_range_join
 from motifloom.operators.graph import DataGraph
 from motifloom.operators.units import unit
 from motifloom.plans import optimize
@@ -21,20 +22,40 @@ def sizer(g: DataGraph, q: QueryGraph, model: str = "power_law", exact=None) ->
     return Sizer(q, g.stats, model, g.label_pairs() if named else None, g.label_counts() if named else None, exact)
 
 
-def plan(g: DataGraph, q: QueryGraph, kind: str = "clique", shape: str = "bushy", overlap: bool = True, cost: str = "power_law") -> JoinNode | UnitNode:
-    """kind: edge, star, wedge or clique units; shape: left_deep or bushy."""
+def plan(g: DataGraph, q: QueryGraph, kind: str = "clique", shape: str = "bushy", overlap: bool = True, cost: str = "power_law", triangle_index: str | None = None, order: str | None = None) -> JoinNode | UnitNode:
+    """kind: edge, star, wedge or clique units; shape: left_deep or bushy.
+
+    Clique units lie in one partition only with a triangle index, so without one the search has stars.
+    order="cover_first" joins the edges of a connected cover first, then a star for each other vertex.
+    """
     freq = g.label_counts() if q.labelled else None
+    if order == "cover_first":
+        return optimize.cover_first_tree(q)
     if kind == "edge":
         return optimize.edge_plan(q)
     if shape == "left_deep" and kind == "star":
         return optimize.star_cover_plan(q, freq)
     if shape == "left_deep" and kind == "wedge":
         return optimize.wedge_plan(q)
+    if kind == "clique" and (not triangle_index or q.directed or q.elabels):
+        kind = "star"
     return optimize.bushy(q, sizer(g, q, cost), kind, overlap, shape == "left_deep", freq)
 
 
-def with_arrays(tree: JoinNode | UnitNode) -> JoinNode | UnitNode:
-    """Keeps as arrays the leaves of stars that no other unit needs."""
+def _clique_array(q: QueryGraph, u: UnitNode, free: list[int], triangle_index: str | None, symmetry: bool) -> tuple[int, ...]:
+    """The vertex of a clique unit that stays an array: one that no other unit has.
+
+    With the ordered index the order must prove another vertex the smallest, or lists below it are missing.
+    """
+    if not triangle_index or len(u.vertices) < 3:
+        return ()
+    above = lambda low, x: all(v == low or relation(q, low, v, symmetry) == "<" for v in u.vertices) and low != x
+    good = [x for x in free if triangle_index == "full" or any(above(low, x) for low in u.vertices)]
+    return (max(good),) if good else ()
+
+
+def with_arrays(tree: JoinNode | UnitNode, q: QueryGraph, triangle_index: str | None = None, symmetry: bool = True) -> JoinNode | UnitNode:
+    """Keeps as arrays what no other unit needs: the leaves of stars and one vertex of a clique."""
     uses: dict[int, int] = {}
     for u in tree.leaves:
         for v in u.vertices:
@@ -43,15 +64,21 @@ def with_arrays(tree: JoinNode | UnitNode) -> JoinNode | UnitNode:
     def mark(node):
         if isinstance(node, JoinNode):
             return JoinNode(mark(node.left), mark(node.right))
+        free = [v for v in node.vertices if v != node.root and uses[v] == 1]
         if node.kind in ("star", "wedge"):
-            return replace(node, arrays=tuple(v for v in node.vertices if v != node.root and uses[v] == 1))
+            return replace(node, arrays=tuple(free))
+        if node.kind == "clique":
+            return replace(node, arrays=_clique_array(q, node, free, triangle_index, symmetry))
         return node
 
     return mark(tree)
 
 
-def lower(g: DataGraph, q: QueryGraph, node: JoinNode | UnitNode, symmetry: bool, triangle_index: str | None = None, batch: tuple[int, int, int] | None = None, hint: str | None = None, cache: dict | None = None) -> DataFrame:
-    """The relation of a plan node. batch = (vertex, k, b) restricts every unit that holds the vertex."""
+def lower(g: DataGraph, q: QueryGraph, node: JoinNode | UnitNode, symmetry: bool, triangle_index: str | None = None, batch: tuple[int, int, int] | None = None, hint: str | None = None, cache: dict | None = None, ranges: int = 1) -> DataFrame:
+    """The relation of a plan node. batch = (vertex, k, b) restricts every unit that holds the vertex.
+
+    ranges > 1 runs every join in so many ranges of its key's hash, one after the other.
+    """
     if isinstance(node, UnitNode):
         if cache is not None and batch and batch[0] not in node.vertices:
             if node not in cache:
@@ -61,12 +88,12 @@ def lower(g: DataGraph, q: QueryGraph, node: JoinNode | UnitNode, symmetry: bool
         if batch and f"v{batch[0]}" in rows.columns:
             rows = rows.where(F.pmod(f"v{batch[0]}", F.lit(batch[2])) == batch[1])
         return rows
-    left = lower(g, q, node.left, symmetry, triangle_index, batch, hint, cache)
-    right = lower(g, q, node.right, symmetry, triangle_index, batch, hint, cache)
+    left = lower(g, q, node.left, symmetry, triangle_index, batch, hint, cache, ranges)
+    right = lower(g, q, node.right, symmetry, triangle_index, batch, hint, cache, ranges)
     key = [c for c in left.columns if c in right.columns]
     if hint:
         right = right.hint(hint)
-    rows = left.join(right, key)
+    rows = hash_range_join(left, right, key, ranges, in_order=True) if ranges > 1 else left.join(right, key)
     only_left = [c for c in left.columns if c not in key]
     only_right = [c for c in right.columns if c not in key]
     for a in only_left:
@@ -99,16 +126,17 @@ def run(
     batch: tuple[int, int, int] | None = None,
     hint: str | None = None,
     cache: dict | None = None,
+    ranges: int = 1,
 ) -> DataFrame:
-    """Matches; compressed where star leaves are kept as arrays."""
-    if not q.connected():
+    """Matches; compressed where star leaves or clique vertices are kept as arrays."""
+    if q.n > 1 and not q.connected():
         raise ValueError("the pattern must be connected")
-    tree = tree or plan(g, q, kind, shape, overlap, cost)
+    tree = tree or plan(g, q, kind, shape, overlap, cost, triangle_index)
     if compression:
-        tree = with_arrays(tree)
+        tree = with_arrays(tree, q, triangle_index, use_symmetry(q, symmetry))
         if batch and any(batch[0] in u.arrays for u in tree.leaves):
             raise ValueError("the batch vertex must not be kept as an array")
-    rows = lower(g, q, tree, use_symmetry(q, symmetry), triangle_index, batch, hint, cache)
+    rows = lower(g, q, tree, use_symmetry(q, symmetry), triangle_index, batch, hint, cache, ranges)
     order = [f"v{v}" for v in q.vertices if f"v{v}" in rows.columns] + [f"c{v}" for v in q.vertices if f"c{v}" in rows.columns]
     return rows.select(*order)
 

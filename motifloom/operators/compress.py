@@ -74,7 +74,7 @@ def count_column(df: DataFrame, q: QueryGraph, symmetry: bool, same: tuple[froze
         elif k == 2:
             a, b = (f"c{m}" for m in members)
             how = relation(q, members[0], members[1], symmetry)
-            total = total * F.aggregate(a, F.lit(0).cast("bigint"), _adder(b, how))
+            total = total * (_below(a, b) if how == "<" else _below(b, a))
         else:
             for i, x in enumerate(members[:-1]):
                 checks = [(y, how) for y in members[:i] if (how := relation(q, x, y, symmetry))]
@@ -90,8 +90,16 @@ def against(how: str, column: str):
     return lambda e: compare(e, how, F.col(column))
 
 
-def _adder(b: str, how: str):
-    return lambda acc, x: acc + F.size(F.filter(F.col(b), lambda y: compare(x, how, y)))
+def _below(low: str, high: str) -> Column:
+    """Pairs of a value of array low and a larger one of array high: one pass over both, merged by value.
+
+    At equal values those of high come first, so that only strictly smaller ones count.
+    """
+    zero, one = F.lit(0).cast("bigint"), F.lit(1).cast("bigint")
+    tagged = lambda c, tag: F.transform(c, lambda x: F.struct(x.alias("x"), tag.alias("seen")))
+    merged = F.array_sort(F.concat(tagged(low, one), tagged(high, zero)))
+    step = lambda acc, e: F.struct((acc["seen"] + e["seen"]).alias("seen"), (acc["pairs"] + F.when(e["seen"] == 0, acc["seen"]).otherwise(zero)).alias("pairs"))
+    return F.aggregate(merged, F.struct(zero.alias("seen"), zero.alias("pairs")), step, lambda acc: acc["pairs"])
 
 
 def count(df: DataFrame, q: QueryGraph, symmetry: bool, same: tuple[frozenset[int], ...] = ()) -> DataFrame:

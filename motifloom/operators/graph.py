@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from motifloom.sources.builders import BUILDERS
-from motifloom.storage import durable
+from motifloom.storage import durable, scratch, stored, tidy
 
 #: Neighbour lists are cut into chunks of about so many vertices.
 CHUNK = 65_536
@@ -37,12 +37,6 @@ class DataGraph:
     def spark(self) -> SparkSession:
         return self.edges.sparkSession
 
-    def persist(self) -> DataGraph:
-        """Keeps vertices and edges, as a prepared graph."""
-        self.edges = self.edges.persist()
-        self.vertices = self.vertices.persist()
-        return self
-
     @property
     def arcs(self) -> DataFrame:
         """u, v, elabel, ulabel, vlabel: both directions of every edge, or one if directed."""
@@ -55,7 +49,7 @@ class DataGraph:
                 names = self.vertices.select(F.col("id"), "label")
                 both = both.join(names.withColumnRenamed("id", "u").withColumnRenamed("label", "ulabel"), "u")
                 both = both.join(names.withColumnRenamed("id", "v").withColumnRenamed("label", "vlabel"), "v")
-                both = both.select("u", "v", "elabel", "ulabel", "vlabel").persist()
+                both = stored(both.select("u", "v", "elabel", "ulabel", "vlabel"), "arcs")
             else:
                 both = both.select("u", "v", "elabel", F.lit(None).cast("int").alias("ulabel"), F.lit(None).cast("int").alias("vlabel"))
             self._kept["arcs"] = both
@@ -159,7 +153,9 @@ def normalise(pairs: DataFrame, directed: bool = False, label: str | None = None
     if not directed:
         pairs = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "elabel")
     pairs = pairs.groupBy("a", "b").agg(F.min("elabel").alias("elabel"))
-    pairs = pairs.persist()
+    raw = scratch(pairs.sparkSession, "pairs")
+    pairs.write.parquet(raw)
+    pairs = pairs.sparkSession.read.schema(pairs.schema).parquet(raw)
     ends = pairs.select(F.col("a").alias("orig")).unionByName(pairs.select(F.col("b").alias("orig")))
     degrees = ends.groupBy("orig").agg(F.count(F.lit(1)).cast("bigint").alias("degree"))
     if vertices is not None:
@@ -168,13 +164,16 @@ def normalise(pairs: DataFrame, directed: bool = False, label: str | None = None
     named = ids.withColumn("label", F.expr(label) if label else F.lit(None).cast("int"))
     if vertices is not None and "label" in vertices.columns:
         named = named.drop("label").join(vertices.select("orig", "label").distinct(), "orig", "left")
-    named = named.persist()
+    named = stored(named, "ids")
     short = named.select("orig", "id")
     e = pairs.join(short.withColumnRenamed("orig", "a").withColumnRenamed("id", "x"), "a").join(short.withColumnRenamed("orig", "b").withColumnRenamed("id", "y"), "b")
     src, dst = (F.col("x"), F.col("y")) if directed else (F.least("x", "y"), F.greatest("x", "y"))
     edges = e.select(src.alias("src"), dst.alias("dst"), "elabel")
     table = named.select("id", "label", F.col("orig").cast("string").alias("orig"), "degree")
-    return DataGraph(table, edges, directed, relabel, name, has_labels=bool(label) or (vertices is not None and "label" in vertices.columns)).persist()
+    # every later plan starts from two short scans
+    graph = DataGraph(table, stored(edges, "edges"), directed, relabel, name, has_labels=bool(label) or (vertices is not None and "label" in vertices.columns))
+    tidy(pairs.sparkSession, [raw])
+    return graph
 
 
 _built: dict = {}

@@ -1,8 +1,9 @@
 """Vertex growth: one query vertex per round, its candidates by intersecting neighbour lists.
 
-With ids ranked by degree the least id among the placed neighbours has the smallest degree, so the
-size probe costs nothing: candidates are proposed by that vertex and intersected with the lists of
-the others in the order of their degrees.
+Candidates are proposed by the placed neighbour with the shortest list and intersected with the lists
+of the others, shortest first, row by row (the size probe). With ids ranked by degree and no labels the
+least id has the shortest list, so the probe costs nothing; otherwise the lengths of the lists are looked
+up, a narrow join per placed neighbour.
 """
 
 from __future__ import annotations
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 
 from motifloom.operators import compress as packed
 from motifloom.operators.graph import DataGraph
-from motifloom.operators.partition import triangle_partition
+from motifloom.operators.partition import triangle_index as index_of
 from motifloom.plans.ir import GrowthPlan, Round, relation, use_symmetry
 from motifloom.plans.optimize import growth_plan
 from motifloom.plans.pattern import QueryGraph
@@ -36,21 +37,26 @@ def _checks(q: QueryGraph, x: int, placed: list[int], symmetry: bool, known: tup
 def _intersected(rows: DataFrame, g: DataGraph, q: QueryGraph, x: int, back: tuple[int, ...], proposer: str, hint: str | None) -> tuple[DataFrame, Column]:
     """rows with list columns joined, and the expression that intersects them."""
     hinted = lambda df: df.hint(hint) if hint else df
-    uniform = len({(q.label(y), q.elabel((min(x, y), max(x, y)))) for y in back}) == 1 and not q.directed
-    if len(back) == 1 or not uniform or proposer == "first":
+    if len(back) == 1 or proposer == "first":
         lists = []
         for k, y in enumerate(back):
             near = _lists(g, q, y, x).select(F.col("u").alias(f"_u{k}"), F.col("nbrs").alias(f"_n{k}"))
             rows = rows.join(hinted(near), F.col(f"v{y}") == F.col(f"_u{k}")).drop(f"_u{k}")
             lists.append(F.col(f"_n{k}"))
         return rows, reduce(F.array_intersect, lists)
-    # the members of back in ascending order of degree, decided row by row
-    rows = rows.withColumn("_by", F.array_sort(F.array(*[F.col(f"v{y}") for y in back])))
-    near = _lists(g, q, back[0], x)
+    if g.ranked and not (q.labelled or q.elabels or q.directed):
+        # ids say which list is the shortest
+        rows = rows.withColumn("_by", F.array_sort(F.array(*[F.struct(F.col(f"v{y}").alias("u")) for y in back])))
+        near = _lists(g, q, back[0], x).select("u", F.col("nbrs").alias("_m"))
+    else:
+        rows, near = _probed(rows, g, q, x, back)
+    keys = [c for c in near.columns if c != "_m"]
+    near = near.select(*[F.col(c).alias(f"_{c}") for c in keys], "_m")
     current = None
     for k in range(len(back)):
-        rows = rows.withColumn("_at", F.get("_by", F.lit(k)))
-        rows = rows.join(hinted(near.select(F.col("u").alias("_u"), F.col("nbrs").alias("_m"))), F.col("_at") == F.col("_u")).drop("_at", "_u")
+        rows = rows.withColumns({f"_at_{c}": F.get("_by", F.lit(k))[c] for c in keys})
+        same = reduce(lambda a, b: a & b, [F.col(f"_at_{c}") == F.col(f"_{c}") for c in keys])
+        rows = rows.join(hinted(near), same).drop(*[f"_at_{c}" for c in keys], *[f"_{c}" for c in keys])
         if k == 0:
             rows = rows.withColumnRenamed("_m", "_n0")
             current = F.col("_n0")
@@ -61,6 +67,26 @@ def _intersected(rows: DataFrame, g: DataGraph, q: QueryGraph, x: int, back: tup
     return rows, current
 
 
+def _probed(rows: DataFrame, g: DataGraph, q: QueryGraph, x: int, back: tuple[int, ...]) -> tuple[DataFrame, DataFrame]:
+    """rows with _by: (size, kind, u) of the placed neighbours, shortest list first; and the lists of all kinds."""
+    kinds: list = []
+    for y in back:
+        lists = _lists(g, q, y, x)
+        if not any(lists is other for other in kinds):
+            kinds.append(lists)
+    probes = []
+    for y in back:
+        kind = next(i for i, other in enumerate(kinds) if other is _lists(g, q, y, x))
+        sizes = kinds[kind].select(F.col("u").alias("_u"), F.size("nbrs").cast("bigint").alias("_size"))
+        if not g.whole_lists:
+            sizes = sizes.groupBy("_u").agg(F.sum("_size").alias("_size"))
+        rows = rows.join(sizes, F.col(f"v{y}") == F.col("_u")).drop("_u").withColumnRenamed("_size", f"_size{y}")
+        probes.append(F.struct(F.col(f"_size{y}").alias("size"), F.lit(kind).alias("kind"), F.col(f"v{y}").alias("u")))
+    rows = rows.withColumn("_by", F.array_sort(F.array(*probes))).drop(*[f"_size{y}" for y in back])
+    near = reduce(DataFrame.unionByName, [lists.select(F.lit(i).alias("kind"), "u", F.col("nbrs").alias("_m")) for i, lists in enumerate(kinds)])
+    return rows, near
+
+
 def _semi(rows: DataFrame, g: DataGraph, q: QueryGraph, r: Round, placed: list[int], symmetry: bool) -> DataFrame:
     """Candidates as rows: exploded from one list, then reduced by semi-joins with the edges."""
     x, first = r.target, r.back[0]
@@ -76,29 +102,23 @@ def _semi(rows: DataFrame, g: DataGraph, q: QueryGraph, r: Round, placed: list[i
 
 
 def _grouped(rows: DataFrame, g: DataGraph, q: QueryGraph, r: Round, tri: DataFrame) -> tuple[DataFrame, Column]:
-    """One visit per group: the anchor's local edges tell which neighbours its matched neighbours have."""
+    """One visit per group: the anchor's index tells which neighbours its matched neighbours have."""
     current = None
     for k, (anchor, inside) in enumerate(r.groups):
-        near = _lists(g, q, anchor, r.target).select(F.col("u").alias("_u"), F.col("nbrs").alias(f"_g{k}"))
-        rows = rows.join(near, F.col(f"v{anchor}") == F.col("_u")).drop("_u")
-        found = F.col(f"_g{k}")
-        if inside:
-            rows = rows.join(tri.select(F.col("u").alias("_u"), F.col("local").alias(f"_t{k}")), F.col(f"v{anchor}") == F.col("_u")).drop("_u")
-            for y in inside:
-                ends = F.transform(F.filter(f"_t{k}", _touches(y)), _other_end(y))
-                found = F.array_intersect(found, ends)
-        current = found if current is None else F.array_intersect(current, found)
+        parts = []
+        if not inside or q.label(r.target) is not None:
+            near = _lists(g, q, anchor, r.target).select(F.col("u").alias("_u"), F.col("nbrs").alias(f"_g{k}"))
+            rows = rows.join(near, F.col(f"v{anchor}") == F.col("_u")).drop("_u")
+            parts.append(F.col(f"_g{k}"))
+        for y in inside:
+            ends = tri.select(F.col("u").alias("_u"), F.col("a").alias("_a"), F.col("ends").alias(f"_t{k}_{y}"))
+            rows = rows.join(ends, (F.col(f"v{anchor}") == F.col("_u")) & (F.col(f"v{y}") == F.col("_a"))).drop("_u", "_a")
+            parts.append(F.col(f"_t{k}_{y}"))
+        for found in parts:
+            current = found if current is None else F.array_intersect(current, found)
     return rows, current
 
 
-def _touches(y: int):
-    return lambda e: (e["a"] == F.col(f"v{y}")) | (e["b"] == F.col(f"v{y}"))
-
-
-def _other_end(y: int):
-    return lambda e: F.when(e["a"] == F.col(f"v{y}"), e["b"]).otherwise(e["a"])
-
-
 def run(
     g: DataGraph,
     q: QueryGraph,
@@ -125,7 +145,8 @@ def run(
         rows = g.vertices.select(F.col("id").alias("v1"), "label")
         return (rows.where(F.col("label") == q.label(1)) if q.labelled else rows).select("v1")
     single, arrays = [first], []
-    tri = triangle_partition(g, ordered=triangle_index == "ordered") if any(inside for r in plan.rounds for _, inside in r.groups) else None
+    usable = not (q.directed or q.elabels)  # the index knows neither directions nor edge labels
+    tri = index_of(g, triangle_index == "ordered") if usable and any(inside for r in plan.rounds for _, inside in r.groups) else None
     rows = None
     for r in plan.rounds[:rounds_only]:
         x = r.target
@@ -137,7 +158,7 @@ def run(
             rows = _semi(rows, g, q, r, single, ordered)
             single.append(x)
             continue
-        elif r.groups and any(inside for _, inside in r.groups):
+        elif tri is not None and any(inside for _, inside in r.groups):
             rows, found = _grouped(rows, g, q, r, tri)
         else:
             rows, found = _intersected(rows, g, q, x, r.back, proposer, hint)

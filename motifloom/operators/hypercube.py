@@ -7,7 +7,7 @@ from functools import reduce
 from itertools import product
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -18,6 +18,7 @@ from motifloom.operators.units import _edge_args
 from motifloom.plans import optimize
 from motifloom.plans.ir import relation, use_symmetry
 from motifloom.plans.pattern import QueryGraph
+from motifloom.storage import ship
 
 #: Integers of edges that one cell's task should hold at most when the number of cells is chosen.
 CELL_INTEGERS = 8_000_000
@@ -72,16 +73,45 @@ def local_edges(routed: DataFrame) -> DataFrame:
     return routed.select("cell", F.least("u", "v").alias("u"), F.greatest("u", "v").alias("v")).distinct()
 
 
-def _solver(q: QueryGraph, kernel: str, symmetry: bool, labelled: bool):
-    find = KERNELS[kernel]
-
-    def run(key, edges: pd.DataFrame) -> pd.DataFrame:
-        u, v = edges["u"].to_numpy(), edges["v"].to_numpy()
-        labels = dict(zip(np.concatenate([u, v]).tolist(), np.concatenate([edges["ul"], edges["vl"]]).tolist())) if labelled else None
-        csr = Csr(np.concatenate([u, v]), np.concatenate([v, u]), labels)
-        blocks = list(find(csr, q, symmetry))
-        rows = np.concatenate(blocks) if blocks else np.empty((0, q.n), np.int64)
-        return pd.DataFrame(rows, columns=[f"v{i}" for i in q.vertices]).assign(cell=key[0])
+def _cells(batches):
+    """(cell, columns) of a partition sorted by cell, one cell at a time."""
+    held: list[pa.RecordBatch] = []
+
+    def whole():
+        t = pa.Table.from_batches(held)
+        return held[0].column(0)[0].as_py(), [t.column(i).to_numpy() for i in range(1, t.num_columns)]
+
+    for batch in batches:
+        cells = batch.column(0).to_numpy()
+        cuts = [0, *(np.flatnonzero(cells[1:] != cells[:-1]) + 1).tolist(), len(cells)]
+        for a, b in zip(cuts, cuts[1:]):
+            if a == b:
+                continue
+            if held and held[0].column(0)[0].as_py() != cells[a]:
+                yield whole()
+                held = []
+            held.append(batch.slice(a, b - a))
+    if held:
+        yield whole()
+
+
+def _solver(q: QueryGraph, kernel: str, symmetry: bool, shares: tuple[int, ...]):
+    """Matches of each cell that the cell owns, block by block: only a cell's edges are ever held."""
+    find, weight = KERNELS[kernel], _weights(shares)
+    names = [f"v{i}" for i in q.vertices]
+
+    def run(batches):
+        for cell, (u, v, *kinds) in _cells(batches):
+            labels = None
+            if kinds:
+                ids, at = np.unique(np.concatenate([u, v]), return_index=True)
+                labels = (ids, np.concatenate(kinds)[at])
+            csr = Csr(np.concatenate([u, v]), np.concatenate([v, u]), labels)
+            for rows in find(csr, q, symmetry):
+                owner = sum((rows[:, i] % shares[i]) * weight[i] for i in range(q.n))
+                rows = rows[owner == cell]
+                if len(rows):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(rows[:, i])) for i in range(q.n)], names=names)
 
     return run
 
@@ -100,11 +130,12 @@ def run(g: DataGraph, q: QueryGraph, cells: int | None = None, *, shares="optimi
         return _tagged(routed, q, ordered)
     edges = local_edges(routed)
     if q.labelled:
-        names = g.vertices.select("id", "label")
+        names = g.vertices.select("id", F.coalesce(F.col("label").cast("bigint"), F.lit(-1)).alias("label"))
         edges = edges.join(names.toDF("u", "ul"), "u").join(names.toDF("v", "vl"), "v")
-    schema = ", ".join(f"v{v} long" for v in q.vertices) + ", cell long"
-    found = edges.groupBy("cell").applyInPandas(_solver(q, kernel, ordered, q.labelled), schema)
-    return found.where(F.col("cell") == home_cell(q, s)).select(*[f"v{v}" for v in q.vertices])
+    ship(g.spark)
+    schema = ", ".join(f"v{v} long" for v in q.vertices)
+    dealt = edges.select("cell", "u", "v", *(["ul", "vl"] if q.labelled else [])).repartition("cell").sortWithinPartitions("cell")
+    return dealt.mapInArrow(_solver(q, kernel, ordered, s), schema)
 
 
 def _tagged(routed: DataFrame, q: QueryGraph, ordered: bool) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from motifloom.operators.graph import DataGraph
+from motifloom.storage import stored
 
 
 def triangles(g: DataGraph) -> DataFrame:
@@ -17,7 +18,8 @@ def triangles(g: DataGraph) -> DataFrame:
         e = g.edges.select(F.least("src", "dst").alias("x"), F.greatest("src", "dst").alias("y")).distinct() if g.directed else g.edges.select(F.col("src").alias("x"), F.col("dst").alias("y"))
         above = e.groupBy(F.col("x").alias("u")).agg(F.collect_list("y").alias("up"))
         at_x, at_y = above.select(F.col("u").alias("x"), F.col("up").alias("ux")), above.select(F.col("u").alias("y"), F.col("up").alias("uy"))
-        g._kept["triangles"] = e.join(at_y, "y").join(at_x, "x").select("x", "y", F.explode(F.array_intersect("ux", "uy")).alias("z")).persist()
+        found = e.join(at_y, "y").join(at_x, "x").select("x", "y", F.explode(F.array_intersect("ux", "uy")).alias("z"))
+        g._kept["triangles"] = stored(found, "triangles")
     return g._kept["triangles"]
 
 
@@ -32,19 +34,37 @@ def triangle_edges(g: DataGraph, ordered: bool = False) -> DataFrame:
     return low.unionByName(middle).unionByName(high)
 
 
-def triangle_partition(g: DataGraph, ordered: bool = False) -> DataFrame:
-    """u, local: every vertex with the edges among its neighbours (with ordered: among those above it).
+def triangle_index(g: DataGraph, ordered: bool = False) -> DataFrame:
+    """u, a, ends (ascending): with the anchor u, for its neighbour a, the other ends of a's edges among u's neighbours.
 
-    Vertices without such edges have an empty list, so that joins on the anchor lose nothing.
+    So ends holds the common neighbours of u and a. A row per arc and never one per anchor: no list is
+    longer than the smaller degree of its two vertices, however many local edges a hub has. With ordered
+    only edges above the anchor are kept.
     """
     key = ("tri", ordered)
     if key not in g._kept:
-        local = triangle_edges(g, ordered).groupBy("u").agg(F.collect_list(F.struct("a", "b")).alias("local"))
-        none = F.array().cast("array<struct<a:bigint,b:bigint>>")
-        g._kept[key] = g.vertices.select(F.col("id").alias("u")).join(local, "u", "left").select("u", F.coalesce("local", none).alias("local")).persist()
+        local = triangle_edges(g, ordered)
+        both = local.unionByName(local.select("u", F.col("b").alias("a"), F.col("a").alias("b")))
+        g._kept[key] = both.groupBy("u", "a").agg(F.sort_array(F.collect_list("b")).alias("ends")).persist()
     return g._kept[key]
 
 
+def clique_buds(g: DataGraph, m: int, ordered: bool = False) -> DataFrame:
+    """v1 < … < vm for every m-clique with a common neighbour, and buds: all vertices next to all of them.
+
+    Read off the triangle index of v1 alone. With the ordered index buds holds those above v1 only.
+    """
+    index = triangle_index(g, ordered)
+    rows = index.where("u < a").select(F.col("u").alias("v1"), F.col("a").alias("v2"), F.col("ends").alias("buds"))
+    for size in range(3, m + 1):
+        names = [f"v{i}" for i in range(1, size)]
+        last = F.col(names[-1])
+        rows = rows.select(*names, "buds", F.explode(F.filter("buds", lambda e: e > last)).alias(f"v{size}"))
+        near = index.select(F.col("u").alias("v1"), F.col("a").alias(f"v{size}"), "ends")
+        rows = rows.join(near, ["v1", f"v{size}"]).select(*names, f"v{size}", F.array_intersect("buds", "ends").alias("buds")).where(F.size("buds") > 0)
+    return rows
+
+
 def _distinct_edges(rows: DataFrame, w: int, kind: str) -> DataFrame:
     sizes = rows.distinct().groupBy("part").agg(F.count(F.lit(1)).alias("n"))
     return sizes.agg(F.lit(kind).alias("kind"), F.lit(w).cast("bigint").alias("workers"), (F.coalesce(F.sum("n"), F.lit(0)) / w).alias("avg_edges"), F.coalesce(F.max("n"), F.lit(0)).alias("max_edges"))

@@ -13,6 +13,7 @@ from motifloom.operators.graph import DataGraph
 from motifloom.plans.ir import use_symmetry
 from motifloom.plans.optimize import cover_first
 from motifloom.plans.pattern import QueryGraph
+from motifloom.storage import ship
 
 #: A graph may be replicated up to this size; beyond it the caller has to use another strategy.
 BUDGET = 1 << 30
@@ -23,14 +24,15 @@ class GraphTooLarge(ValueError):
 
 
 def check_size(g: DataGraph, budget: int = BUDGET) -> None:
-    if g.estimated_bytes() > budget:
-        raise GraphTooLarge(f"the graph takes about {g.estimated_bytes()} bytes, the budget is {budget}")
+    """Counts edges, offsets and, where there are any, labels."""
+    size = g.estimated_bytes() + (16 * g.stats["n"] if g.has_labels else 0)
+    if size > budget:
+        raise GraphTooLarge(f"the graph takes about {size} bytes, the budget is {budget}")
 
 
 def _local(shared, q: QueryGraph, kernel: str, symmetry: bool):
     def run(batches):
-        u, v, labels = shared.value
-        csr = Csr(np.concatenate([u, v]), np.concatenate([v, u]), labels)
+        csr = shared.value  # built once on the driver, read once per worker process
         names = [f"v{i}" for i in q.vertices]
         for batch in batches:
             for rows in KERNELS[kernel](csr, q, symmetry, np.sort(batch.column(0).to_numpy())):
@@ -39,6 +41,23 @@ def _local(shared, q: QueryGraph, kernel: str, symmetry: bool):
     return run
 
 
+def replica(g: DataGraph, budget: int = BUDGET):
+    """The whole graph as broadcast sparse rows, at most `budget` bytes."""
+    check_size(g, budget)
+    if g._kept.get("replica") is None:
+        ship(g.spark)
+        edges = g.edges.select("src", "dst").toArrow()
+        u, v = (edges.column(c).to_numpy().astype(np.int64) for c in ("src", "dst"))
+        labels = None
+        if g.has_labels:
+            names = g.vertices.where("label is not null").select("id", F.col("label").cast("bigint").alias("label")).toArrow()
+            ids, kinds = (names.column(c).to_numpy() for c in ("id", "label"))
+            by = np.argsort(ids)
+            labels = (ids[by], kinds[by])
+        g._kept["replica"] = g.spark.sparkContext.broadcast(Csr(np.concatenate([u, v]), np.concatenate([v, u]), labels))
+    return g._kept["replica"]
+
+
 def run(g: DataGraph, q: QueryGraph, *, kernel: str = "cover", execution: str = "kernel", partitions: int = 0, budget: int = BUDGET, symmetry: str = "auto", **refused) -> DataFrame:
     """Matches v1..vn. execution: kernel (arrays in Arrow functions) or broadcast_join (growth with broadcast lists)."""
     if refused:
@@ -46,13 +65,10 @@ def run(g: DataGraph, q: QueryGraph, *, kernel: str = "cover", execution: str =
     check_size(g, budget)
     if execution == "broadcast_join" or q.directed or q.elabels:
         return growth.run(g, q, symmetry=symmetry, hint="broadcast").select(*[f"v{v}" for v in q.vertices])
-    if g._kept.get("replica") is None:
-        edges = g.edges.select("src", "dst").toPandas()  # at most `budget` bytes, checked above
-        labels = {r[0]: r[1] for r in g.vertices.select("id", "label").collect()} if g.has_labels else None
-        g._kept["replica"] = g.spark.sparkContext.broadcast((edges["src"].to_numpy(np.int64), edges["dst"].to_numpy(np.int64), labels))
+    shared = replica(g, budget)
     first = cover_first(q)[0]
     seeds = g.vertices.select("id") if q.label(first) is None else g.vertices.where(F.col("label") == q.label(first)).select("id")
     p = partitions or int(g.spark.conf.get("spark.sql.shuffle.partitions"))
     seeds = seeds.repartition(p, F.pmod("id", F.lit(p)))
     schema = ", ".join(f"v{v} long" for v in q.vertices)
-    return seeds.mapInArrow(_local(g._kept["replica"], q, kernel, use_symmetry(q, symmetry)), schema)
+    return seeds.mapInArrow(_local(shared, q, kernel, use_symmetry(q, symmetry)), schema)

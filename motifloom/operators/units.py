@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from motifloom.operators import compress as packed
 from motifloom.operators.graph import DataGraph
-from motifloom.operators.partition import clique_table, triangle_edges
+from motifloom.operators.partition import clique_buds, clique_table
 from motifloom.plans.ir import UnitNode, relation
 from motifloom.plans.pattern import QueryGraph
 
@@ -65,40 +65,54 @@ def star(g: DataGraph, q: QueryGraph, u: UnitNode, symmetry: bool) -> DataFrame:
     return rows.drop(*held)
 
 
+def _assignments(q: QueryGraph, vertices: tuple[int, ...], symmetry: bool) -> list[tuple[int, ...]]:
+    """Which member of a clique, in ascending order, each vertex may take: vertices[i] the p[i]-th smallest."""
+    good = []
+    for p in permutations(range(len(vertices))):
+        hows = [(p[i], relation(q, vertices[i], vertices[j], symmetry), p[j]) for i in range(len(p)) for j in range(i + 1, len(p))]
+        if not any((how == "<" and a > b) or (how == ">" and a < b) for a, how, b in hows):
+            good.append(p)
+    return good
+
+
 def clique(g: DataGraph, q: QueryGraph, u: UnitNode, symmetry: bool, triangle_index: str | None = None) -> DataFrame:
     """Each clique is found once, then put into every assignment that order and labels allow.
 
-    With a triangle index larger cliques come from joins of the local edges of each anchor.
+    With a triangle index cliques are read off the lists of their smallest vertex, and the vertex in
+    u.arrays, if any, stays an array: the common neighbours of all others. Without it they are grown.
     """
-    k = len(u.vertices)
-    sets = clique_from_index(g, k) if triangle_index and k > 3 else clique_table(g, k)
-    sets = sets.toDF(*[f"_s{i}" for i in range(k)])
-    choices = []
-    for p in permutations(range(k)):  # vertex u.vertices[i] takes the p[i]-th smallest member
-        fine = True
-        for i in range(k):
-            for j in range(i + 1, k):
-                how = relation(q, u.vertices[i], u.vertices[j], symmetry)
-                fine &= not (how == "<" and p[i] > p[j]) and not (how == ">" and p[i] < p[j])
-        if fine:
-            choices.append(F.struct(*[F.col(f"_s{p[i]}").alias(f"v{v}") for i, v in enumerate(u.vertices)]))
-    rows = sets.select(F.explode(F.array(*choices)).alias("m")).select("m.*") if len(choices) > 1 else sets.select(choices[0].alias("m")).select("m.*")
+    single = tuple(v for v in u.vertices if v not in u.arrays)
+    k, held = len(single), []
+    if u.arrays:
+        sets, held = clique_buds(g, k, triangle_index == "ordered"), ["buds"]
+    else:
+        sets = clique_from_index(g, k, triangle_index == "ordered") if triangle_index and k > 2 else clique_table(g, k)
+    sets = sets.toDF(*[f"_s{i}" for i in range(k)], *held)
+    choices = [F.struct(*[F.col(f"_s{p[i]}").alias(f"v{v}") for i, v in enumerate(single)]) for p in _assignments(q, single, symmetry)]
+    rows = sets.select(F.explode(F.array(*choices)).alias("m") if len(choices) > 1 else choices[0].alias("m"), *held).select("m.*", *held)
     if q.labelled:
-        for v in u.vertices:
+        for v in single:
             if q.label(v) is not None:
                 rows = rows.join(g.vertices.where(F.col("label") == q.label(v)).select(F.col("id").alias(f"v{v}")), f"v{v}", "left_semi")
+    if u.arrays:
+        (x,) = u.arrays
+        values = F.col("buds")
+        if q.label(x) is not None:  # the list of one member, cut by label
+            near = g.adjacency(**_edge_args(q, single[0], x)).select(F.col("u").alias(f"v{single[0]}"), F.col("nbrs").alias("_n"))
+            rows = rows.join(near, f"v{single[0]}")
+            values = F.array_intersect("buds", "_n")
+        tests = _checks(q, x, single, symmetry)
+        kept = F.filter(values, packed.checker(tests)) if tests else values
+        rows = rows.select(*[f"v{v}" for v in single], kept.alias(f"c{x}")).where(F.size(f"c{x}") > 0)
     return rows
 
 
-def clique_from_index(g: DataGraph, k: int) -> DataFrame:
-    """v1 < … < vk from the ordered triangle partition: every pair of the last k - 1 is a local edge of v1."""
-    local = triangle_edges(g, ordered=True)
-    rows = local.toDF("v1", "v2", "v3")
-    for size in range(4, k + 1):
-        for i in range(2, size):
-            near = local.select(F.col("u").alias("v1"), F.col("a").alias(f"v{i}"), F.col("b").alias(f"v{size}"))
-            rows = rows.join(near, ["v1", f"v{i}"] if i == 2 else ["v1", f"v{i}", f"v{size}"])
-    return rows.select(*[f"v{i}" for i in range(1, k + 1)])
+def clique_from_index(g: DataGraph, k: int, ordered: bool = True) -> DataFrame:
+    """v1 < … < vk from the triangle index: every pair of the last k - 1 is a local edge of v1."""
+    names = [f"v{i}" for i in range(1, k)]
+    last = F.col(names[-1])
+    above = F.filter("buds", lambda e: e > last)
+    return clique_buds(g, k - 1, ordered).select(*names, F.explode(above).alias(f"v{k}"))
 
 
 def bud(g: DataGraph, x: int) -> DataFrame:

@@ -36,3 +36,8 @@ def write_matches(matches: DataFrame, path: str, batch: int | None = None, fmt:
 def write_adjacency(adjacency: DataFrame, name: str, buckets: int) -> None:
     """Saves adjacency as a table bucketed by vertex, so that later joins on it move only the other side."""
     adjacency.write.mode("overwrite").bucketBy(buckets, "u").sortBy("u").saveAsTable(name)
+
+
+def read_adjacency(g, name: str) -> None:
+    """Makes a graph take its unlabelled neighbour lists from a table that write_adjacency saved."""
+    g._kept[("adj", None, None, None, False, g.chunk)] = g.spark.table(name).select("u", "nbrs")

@@ -13,7 +13,6 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from motifloom.operators import compress as packed
 from motifloom.plans.ir import relation, use_symmetry
 from motifloom.plans.pattern import QueryGraph
-from motifloom.storage import durable
 
 
 def events(stream: DataFrame, late: str = "30 minutes") -> DataFrame:
@@ -93,18 +92,24 @@ def _arc(arcs: DataFrame, e: tuple[int, int], q: QueryGraph, ordered: bool) -> D
 
 
 def follow(edge_stream: DataFrame, q: QueryGraph, sink: Callable[[DataFrame, int], None], checkpoint: str, known: DataFrame | None = None) -> StreamingQuery:
-    """Runs delta_matches for every micro-batch of edges (a, b) and hands the new matches to sink."""
-    state: dict[str, DataFrame] = {}
+    """Runs delta_matches for every micro-batch of edges (a, b) and hands the new matches to sink.
+
+    The graph so far lies beside the stream's checkpoint, one folder per micro-batch, which only holds
+    its own new edges. A restarted query reads the folders of the batches before; a batch that runs
+    again writes its folder again.
+    """
+    spark, home = edge_stream.sparkSession, f"{checkpoint.rstrip('/')}-graph"
+    kind = "src bigint, dst bigint"
+    first = known.select("src", "dst") if known is not None else spark.createDataFrame([], kind)
+    first.write.mode("overwrite").parquet(f"{home}/batch=-1")
 
     def batch(rows: DataFrame, number: int) -> None:
-        spark = rows.sparkSession
-        old = state.get("old")
-        if old is None:
-            old = known if known is not None else spark.createDataFrame([], "src bigint, dst bigint")
+        graph = lambda: rows.sparkSession.read.schema(f"{kind}, batch bigint").parquet(home)
+        old = graph().where(F.col("batch") < number).select("src", "dst")
         fresh = rows.select(F.least("a", "b").alias("src"), F.greatest("a", "b").alias("dst")).where("src <> dst").distinct()
-        new = durable(fresh.join(old, ["src", "dst"], "left_anti"))
+        fresh.join(old, ["src", "dst"], "left_anti").write.mode("overwrite").parquet(f"{home}/batch={number}")
+        new = graph().where(F.col("batch") == number).select("src", "dst")
         sink(delta_matches(old, new, q), number)
-        state["old"] = durable(old.unionByName(new))
 
     return edge_stream.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).start()
 
