@@ -1,41 +1,11 @@
-"""What the corpus operators share: scratch paths, package shipping, text bytes; durable frames come from storage."""
+"""What the corpus operators share: text bytes and tables; durable frames, scratch paths and package shipping come from storage."""
 
 from __future__ import annotations
 
-import atexit
-import os
-import shutil
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from motifloom.storage import durable, shared_dir
-
-PACKAGE = Path(__file__).resolve().parent.parent
-
-
-def scratch(spark: SparkSession, name: str) -> str:
-    """A fresh path in the shared folder."""
-    return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
-def ship(spark: SparkSession) -> None:
-    """Sends this package to the executors once per context."""
-    context = spark.sparkContext
-    if getattr(context, "_package_shipped", False):
-        return
-    folder = tempfile.mkdtemp()  # the driver serves the file from here as long as it lives
-    atexit.register(shutil.rmtree, folder, ignore_errors=True)
-    archive = os.path.join(folder, f"{PACKAGE.name}-{uuid.uuid4().hex[:8]}.zip")
-    with zipfile.ZipFile(archive, "w", zipfile.ZIP_DEFLATED) as z:
-        for path in sorted(PACKAGE.rglob("*.py")):
-            z.write(path, path.relative_to(PACKAGE.parent))
-    context.addPyFile(archive)
-    context._package_shipped = True
+from motifloom.storage import durable, scratch, shared_dir, ship
 
 
 def text_bytes(column: str = "text") -> Column:

@@ -121,5 +121,66 @@ FROM o GROUP BY conv_id
 """
 
 
+_BASE32 = "ABCDEFGHIJKLMNOPQRSTUVWXYZ234567"
+#: 20 bits of a hexadecimal digest at a time, as four letters.
+_DIGEST = " || ".join(f"substr('{_BASE32}', CAST(1 + ((CAST('0x' || substr(x, {5 * i + 1}, 5) AS BIGINT) >> {15 - 5 * k}) & 31) AS BIGINT), 1)" for i in range(8) for k in range(4))
+
+_WARC_SQL = f"""
+WITH d AS (
+  SELECT page_id, CAST(strlen(coalesce(html, '')) AS BIGINT) AS n, sha1(coalesce(html, '')) AS x FROM pages
+), m AS (
+  SELECT *, max(page_id) OVER (PARTITION BY x) AS top FROM d
+)
+SELECT page_id, n AS payload_bytes, {_DIGEST} AS payload_digest, CASE WHEN page_id = top THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id <> top THEN top END AS refers_to FROM m
+"""
+
+_LINES_SQL = """
+WITH t AS (
+  SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents
+), k AS (
+  SELECT doc_id, line, pos FROM (SELECT doc_id, unnest(ls) AS line, generate_subscripts(ls, 1) - 1 AS pos FROM t) AS x WHERE trim(line, ' ') <> ''
+), d AS (
+  SELECT line, min(doc_id * 4294967296 + pos) AS first FROM k GROUP BY line
+), h AS (
+  SELECT line, first, l, s, CASE WHEN s = 0 THEN left(line, l // 2) ELSE right(line, l - l // 2) END AS half
+  FROM (SELECT line, first, length(line) + extra AS l, s FROM d, (SELECT unnest([0, 1]) AS extra) AS e, (SELECT unnest([0, 1]) AS s) AS f) AS g
+), c AS (
+  SELECT DISTINCT x.line AS later, y.line AS earlier FROM h AS x JOIN h AS y ON x.l = y.l AND x.s = y.s AND x.half = y.half AND x.first > y.first WHERE abs(length(x.line) - length(y.line)) <= 1
+), o AS (
+  SELECT later, CASE WHEN length(later) <= length(earlier) THEN later ELSE earlier END AS a, CASE WHEN length(later) <= length(earlier) THEN earlier ELSE later END AS b FROM c
+), i AS (
+  SELECT later, a, b, (SELECT min(p) FROM unnest(range(1, length(b) + 1)) AS r(p) WHERE substr(a, p, 1) <> substr(b, p, 1)) AS p FROM o
+), near AS (
+  SELECT DISTINCT later AS line FROM i WHERE CASE WHEN length(a) = length(b) THEN substr(a, p + 1) = substr(b, p + 1) ELSE substr(a, p) = substr(b, p + 1) END
+), r AS (
+  SELECT k.doc_id, k.pos, near.line IS NOT NULL AS near FROM k JOIN d ON k.line = d.line LEFT JOIN near ON near.line = k.line WHERE near.line IS NOT NULL OR k.doc_id * 4294967296 + k.pos <> d.first
+), q AS (
+  SELECT doc_id, sum(CASE WHEN near THEN 0 ELSE 1 END) AS e, sum(CASE WHEN near THEN 1 ELSE 0 END) AS n, string_agg(CAST(pos AS VARCHAR), ',' ORDER BY pos) AS places FROM r GROUP BY doc_id
+)
+SELECT t.doc_id, CAST(len(ls) AS BIGINT) AS n_lines, CAST(coalesce(e, 0) AS BIGINT) AS n_exact, CAST(coalesce(n, 0) AS BIGINT) AS n_near, coalesce(places, '') AS dropped FROM t LEFT JOIN q ON q.doc_id = t.doc_id
+"""
+
+_NEAR_SQL = f"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '[^\x20\x09-\x0D]+') AS w FROM documents
+), g AS MATERIALIZED (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [hash(array_to_string(w, ' '))] ELSE list_distinct(list_transform(range(1, len(w) - 3), lambda i: hash(array_to_string(w[i:i + 4], ' ')))) END AS s FROM w
+), n AS MATERIALIZED (
+  SELECT doc_id, CAST(len(s) AS BIGINT) AS n FROM g
+), x AS MATERIALIZED (
+  SELECT doc_id, unnest(s) AS s FROM g
+), p AS (
+  SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS c FROM x AS a JOIN x AS b ON a.s = b.s AND a.doc_id <> b.doc_id GROUP BY a.doc_id, b.doc_id
+), l AS MATERIALIZED (
+  SELECT a, b FROM p JOIN n AS u ON u.doc_id = a JOIN n AS v ON v.doc_id = b WHERE 100 * c >= 75 * (u.n + v.n - c)
+), r(id, c) AS (
+  SELECT doc_id, doc_id FROM n UNION SELECT l.b, r.c FROM r JOIN l ON l.a = r.id
+), m AS (
+  SELECT id, min(c) AS c FROM r GROUP BY id
+)
+SELECT n.doc_id, n.n AS n_shingles, m.c AS component_id, n.doc_id = m.c AS kept FROM n JOIN m ON m.id = n.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op2_exact_dedup": _EXACT_SQL, "op7_mixing": _MIX_SQL, "op9_chat": _CHAT_SQL}
+    return {"op2_exact_dedup": _EXACT_SQL, "op4_warc": _WARC_SQL, "op6_line_dedup": _LINES_SQL, "op7_mixing": _MIX_SQL, "op9_chat": _CHAT_SQL, "op10_near_dedup": _NEAR_SQL}

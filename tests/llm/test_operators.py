@@ -102,6 +102,22 @@ def test_secrets_edges_and_ownership(spark, odd, empty):
     assert secret_scan.scan(odd).count() == 8 and secret_scan.scan(empty).count() == 0
 
 
+def test_secret_owners_match_brute_force(spark):
+    """live and copied by counting the owners of every added span's text."""
+    rng = np.random.default_rng(5)
+    keys = [f"eyJ{'abc'[k % 3] * 9}{k}.eyJ{'xyz'[k % 3] * 8}.{'s' * 11}{k}" for k in range(12)]
+    rows = [(i, " and ".join(rng.choice(keys, int(rng.integers(0, 3)), replace=False)), f"o{rng.integers(4)}") for i in range(60)]
+    owners = defaultdict(set)
+    for _, t, s in rows:
+        for k in keys:
+            if k in t.split(" and "):
+                owners[k].add(s)
+    for r in secret_scan.scan(frame(spark, rows)).collect():
+        mine = [k for k in rows[r["doc_id"]][1].split(" and ") if k]
+        assert r["n_copied"] == sum(len(owners[k]) >= 3 for k in mine)
+        assert r["spans"].count("jwt:") == sum(len(owners[k]) < 3 for k in mine)
+
+
 def test_secrets_of_one_owner_stay_live_in_many_documents(spark):
     pem = "-----BEGIN RSA PRIVATE KEY-----" + "A1b2" * 1500
     texts = [pem, "x://" + "u" * 70 + ":" + "p" * 90 + "@h", "x://:secret6@h"]
@@ -244,13 +260,40 @@ def test_toxicity_held_out(spark):
     weights = toxicity.train(docs, labels)
     assert 0 < len(weights[0]) < 1 << toxicity.BITS
     rows = toxicity.score(docs, weights).join(labels.select("doc_id", "toxic"), "doc_id").where("held_out").collect()
-    wrong = sum(r["predicted"] != r["toxic"] for r in rows)
-    assert wrong <= 0.12 * len(rows)
+    # a measure that calling nothing toxic fails
+    found = sum(r["predicted"] for r in rows if r["toxic"] == 1)
+    assert found >= 0.6 * sum(r["toxic"] for r in rows) and sum(r["predicted"] for r in rows if r["toxic"] == 0) <= 0.02 * len(rows)
     clean = [r["score"] for r in rows if r["toxic"] == 0]
     toxic = [r["score"] for r in rows if r["toxic"] == 1]
     assert np.mean(toxic) > np.mean(clean) + 0.2
 
 
+def test_ftrl_follows_the_rule_step_by_step():
+    """The vectorised fit against a plain loop over coordinates."""
+    rng = np.random.default_rng(12)
+    rows = [np.concatenate([[toxicity.BIAS], 1 + rng.choice(40, int(rng.integers(3, 9)), replace=False)]).astype(np.int32) for _ in range(150)]
+    labels = np.array([float(3 in r or 7 in r) for r in rows])
+    z, n = Counter(), Counter()
+
+    def weight(i):
+        strength = 0.0 if i == toxicity.BIAS else toxicity.L1
+        if abs(z[i]) <= strength:
+            return 0.0
+        return ((strength if z[i] > 0 else -strength) - z[i]) / ((toxicity.BETA + n[i] ** 0.5) / toxicity.ALPHA + toxicity.L2)
+
+    for epoch in range(toxicity.EPOCHS):
+        for k in np.random.default_rng(epoch).permutation(len(rows)):
+            w = {i: weight(i) for i in rows[k].tolist()}
+            g = 1 / (1 + np.exp(-sum(w.values()))) - labels[k]
+            for i in w:
+                z[i] += g - ((n[i] + g * g) ** 0.5 - n[i] ** 0.5) / toxicity.ALPHA * w[i]
+                n[i] += g * g
+    at, values = toxicity.fit(rows, labels)
+    want = {i: weight(i) for i in range(42) if weight(i)}
+    assert set(at.tolist()) == set(want)
+    assert all(v == pytest.approx(want[i]) for i, v in zip(at.tolist(), values))
+
+
 def test_toxicity_edges(spark, odd, empty):
     labels = spark.createDataFrame([(1, 0), (5, 1), (None, 1), (3, None)], "doc_id long, toxic int")
     weights = toxicity.train(odd, labels)

@@ -70,3 +70,31 @@ def test_mixing_stage(stages):
 def test_run_gives_the_last_stage(spark, stages):
     got = corpus_pipeline.run(spark, SF)
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, stages[5].collect()))
+
+
+def odd_documents(spark, rows):
+    kind = "doc_id long, text string, lang string, source string, n_chars long, body string, row int, toxic int"
+    return spark.createDataFrame([(i, t, "en", s, len(t or ""), "x", 1, 7) for i, t, s in rows], kind)
+
+
+def test_stages_on_nulls_repeated_rows_and_clashing_columns(spark):
+    text = " ".join(f"word{i}" for i in range(40))
+    rows = [(1, None, None), (2, "", "a"), (3, text, "a"), (3, text, "a"), (4, text.upper(), None), (None, "alone here", "b"), (5, text + " more", "b"), (6, "long " * 20_000, "c"), (7, "same id", "c"), (7, "other text", "c")]
+    docs = odd_documents(spark, rows)
+    clean, exact, near, decontaminated, mixed = (stage for _, stage in corpus_pipeline.STAGES)
+    kept = clean(spark, docs, SF)
+    assert kept.columns == list(corpus_pipeline.COLUMNS) and kept.count() == len(rows)
+    # equal texts: the smallest id stays; rows of one id and one text are the same document and both stay
+    once = sorted(((r["doc_id"] is None, r["doc_id"], r["text"]) for r in exact(spark, docs, SF).collect()), key=str)
+    assert [r[1] for r in once if r[1] is not None] == [1, 3, 3, 5, 6, 7, 7] and (True, None, "alone here") in once
+    groups = near(spark, docs, SF)
+    assert sorted(r["doc_id"] for r in groups.where("doc_id is not null").collect()) == [1, 2, 3, 3, 6, 7, 7]
+    assert decontaminated(spark, docs, SF).count() == len(rows)
+    out = mixed(spark, docs, SF).collect()
+    assert len(out) == len(rows) and all(0 <= r["taken"] <= 3 * r["size"] for r in out)
+
+
+def test_stages_on_an_empty_table(spark):
+    docs = odd_documents(spark, []).limit(0)
+    for name, stage in corpus_pipeline.STAGES:
+        assert stage(spark, docs, SF).count() == 0, name
