@@ -66,6 +66,34 @@ def sharedline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _meet(lines.join(shared, "line"), "doc_id", ["line"])
 
 
+def doclines(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents and the lines they share with others, however many: linear in the text, so no line is left out."""
+    docs = table(spark, sf_dir, "documents")
+    lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line")).where(F.length("line") >= 40).distinct()
+    named = lines.select("doc_id", F.md5("line").alias("h"))
+    shared = named.groupBy("h").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("h")
+    return named.join(shared, "h").select(F.concat(F.lit("d:"), "doc_id").alias("a"), F.concat(F.lit("l:"), "h").alias("b"))
+
+
+def scalefree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A synthetic graph as large as the tables: both ends of an edge fall on vertex k with weight k ** -1/2."""
+    rows = table(spark, sf_dir, "lineitem").select(F.count(F.lit(1)).alias("n")).first()[0]
+    draw = lambda salt: F.conv(F.substring(F.md5(F.concat(F.lit(salt), F.col("id").cast("string"))), 1, 8), 16, 10).cast("double") / 4294967296.0
+    end = lambda salt: F.floor(draw(salt) * draw(salt) * (rows // 4)).cast("bigint")
+    return spark.range(2 * rows).select(end("a").alias("a"), end("b").alias("b"))
+
+
+def contacts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """coactive with the kind of event as edge label: 1 for the first kind by name, and so on."""
+    events = table(spark, sf_dir, "events")
+    kinds = events.select("event_type").distinct().withColumn("elabel", F.dense_rank().over(Window.orderBy("event_type")))  # a few kinds
+    bucket = F.floor(F.unix_timestamp(F.col("ts").cast("timestamp")) / 600)
+    seen = events.select("user_id", "event_type", bucket.alias("bucket")).distinct()
+    left = seen.select(F.col("user_id").alias("a"), "event_type", "bucket")
+    right = seen.select(F.col("user_id").alias("b"), "event_type", "bucket")
+    return left.join(right, ["event_type", "bucket"]).where("a < b").join(F.broadcast(kinds), "event_type").select("a", "b", "elabel")
+
+
 def weblink(spark: SparkSession, sf_dir: str) -> DataFrame:
     pages = table(spark, sf_dir, "pages")
     paths = F.explode(F.regexp_extract_all("html", F.lit('href="/([^"?#]*)'), F.lit(1)))
@@ -182,6 +210,24 @@ BUILDERS = {
             " y AS (SELECT l FROM x GROUP BY l HAVING count(*) BETWEEN 2 AND 200), z AS (SELECT x.d, x.l FROM x JOIN y ON x.l = y.l)"
             " SELECT DISTINCT z.d AS a, w.d AS b FROM z JOIN z AS w ON z.l = w.l AND z.d < w.d",
         ),
+        Builder(
+            "doclines",
+            doclines,
+            "WITH x AS (SELECT DISTINCT doc_id AS d, trim(line) AS l FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents) WHERE length(trim(line)) >= 40),"
+            " y AS (SELECT l FROM x GROUP BY l HAVING count(*) > 1) SELECT DISTINCT 'd:' || d AS a, 'l:' || md5(x.l) AS b FROM x JOIN y ON x.l = y.l",
+        ),
+        Builder(
+            "scalefree",
+            scalefree,
+            "WITH n AS (SELECT count(*) AS n FROM lineitem), x AS (SELECT CAST('0x' || substr(md5('a' || i), 1, 8) AS BIGINT) / 4294967296.0::DOUBLE AS p, CAST('0x' || substr(md5('b' || i), 1, 8) AS BIGINT) / 4294967296.0::DOUBLE AS q, n // 4 AS w FROM n, unnest(range(0, 2 * n)) AS r(i)),"
+            " y AS (SELECT CAST(floor(p * p * w) AS BIGINT) AS a, CAST(floor(q * q * w) AS BIGINT) AS b FROM x) SELECT DISTINCT least(a, b) AS a, greatest(a, b) AS b FROM y WHERE a <> b",
+        ),
+        Builder(
+            "contacts",
+            contacts,
+            "WITH x AS (SELECT DISTINCT user_id AS u, event_type AS t, CAST(floor(epoch(ts) / 600) AS BIGINT) AS k FROM events), z AS (SELECT *, dense_rank() OVER (ORDER BY t) AS code FROM x)"
+            " SELECT x.u AS a, y.u AS b, min(x.code) AS elabel FROM z AS x JOIN z AS y ON x.t = y.t AND x.k = y.k AND x.u < y.u GROUP BY x.u, y.u",
+        ),
         Builder(
             "weblink",
             weblink,
