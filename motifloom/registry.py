@@ -89,7 +89,7 @@ _DENSE = ("supply", "weblink", "copurchase", "sharedline", "doclines", "scalefre
 
 def _strategy(pattern: str, method: str, graph: str, output: str = "rows", name: str | None = None, **more) -> None:
     q = catalogue.by_name(pattern)
-    options = METHODS[method] | more if method in METHODS and not name else more
+    options = METHODS.get(method, {}) | more
     name = name or f"{pattern}_{method}_{graph}"
     if name not in _queries:
         sql = sqlgen.closed_count(graph, pattern) if graph in _DENSE and output == "count" else sqlgen.oracle(graph, q, output)
@@ -333,7 +333,7 @@ _add(
 _add(
     "frontier_comm_q2_cobuy",
     _on("cobuy", lambda g: metrics.frontier_comm(g, catalogue.unlabelled("q2"), 8)),
-    _with("cobuy", f", h AS (SELECT x.v % 8 AS o, 4 AS i FROM s AS x JOIN s AS y ON y.u = x.u JOIN s AS z ON z.u = x.u WHERE x.u < x.v AND y.v < z.v AND x.v <> y.v AND x.v <> z.v AND x.u % 8 <> x.v % 8) {_SPREAD}"),
+    _with("cobuy", f", h AS (SELECT x.v % 8 AS o, 4 AS i FROM s AS x JOIN s AS y ON y.u = x.u JOIN s AS z ON z.u = x.u WHERE x.u < x.v AND y.v < z.v AND x.u % 8 <> x.v % 8) {_SPREAD}"),
 )
 _add("replication_comm_cobuy", _on("cobuy", lambda g: metrics.replication_comm(g, 8)), _with("cobuy", "SELECT CAST(16 * count(*) AS BIGINT) AS total, CAST(2 * count(*) AS BIGINT) AS worst FROM e"))
 _add("rounds_q2_cobuy", _on("cobuy", lambda g: metrics.rounds(g, catalogue.unlabelled("q2"))), "SELECT strategy, CAST(n AS BIGINT) AS rounds FROM (VALUES ('growth', 3), ('binary_edge', 4), ('binary_wedge', 2), ('binary_clique', 1), ('hypercube', 1), ('frontier', 2), ('replicated', 0)) AS v(strategy, n)")
