@@ -12,7 +12,9 @@ takes more blocks, each of which sees all documents. Documents never move.
 
 Defined results: null text is empty text; an item of fewer than SEED words has no seeds and
 contaminates nothing; null items or texts are skipped; repeated items count once per id; every input
-row gives one output row; an empty benchmark leaves every document clean.
+row gives one output row, repeated ones too; an empty benchmark leaves every document clean; an empty
+table gives an empty result; further columns are ignored, whatever their names; texts of any length are
+read whole, in slices of bounded size.
 """
 
 from __future__ import annotations

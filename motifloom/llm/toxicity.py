@@ -1,14 +1,16 @@
 """Toxicity by FTRL-proximal logistic regression over hashed word n-grams and skip-grams.
 
 Features are the distinct words, word pairs, one-word skip pairs and word beginnings (so that
-inflected forms share a feature) of a text, hashed into 2^BITS slots. Training follows the follow-the-regularised-leader proximal rule with a learning rate
-per coordinate; its L1 term leaves few weights that are not zero, and those are broadcast (at most
+inflected forms share a feature) of a text, hashed into 2^BITS slots. Training follows the
+follow-the-regularised-leader proximal rule with a learning rate per coordinate; its L1 term leaves few weights that are not zero, and those are broadcast (at most
 2^BITS pairs, whatever the corpus). Training reads a bounded sample of labelled rows: the
 max_train rows with the smallest hash of their id.
 
 Defined results: null text is empty text, scored by the bias alone; labels come from rows whose
 crc32(doc_id) mod folds is not 0; several labels of a document count as toxic if any is; null labels
-are ignored; without any training row every score is 0; repeated rows are scored each.
+are ignored; without any training row every score is 0; repeated rows are scored each; an empty table
+gives an empty result; further columns, also one named toxic, are ignored; texts of any length are read
+whole, in slices of bounded size.
 """
 
 from __future__ import annotations

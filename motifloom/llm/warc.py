@@ -13,7 +13,8 @@ gaps and for the declared total length, and only then is the chunked framing dec
 Defined results: null html is an empty payload; a null id is written as none and never chosen as
 the response of others unless all ids are null; rows repeating an id are records of their own; a
 record that cannot be reassembled has status `incomplete` and a null payload; an empty table gives
-no archive and an empty result.
+no archive and an empty result; further columns are ignored, whatever their names; a payload of any
+length is cut into segments.
 """
 
 from __future__ import annotations
