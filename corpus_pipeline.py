@@ -2,6 +2,12 @@
 
 A stage takes (spark, docs, sf_dir) and returns a DataFrame; what it returns is written as Parquet and
 read again as the next stage's docs. All stages but the last return the columns of documents.
+
+Defined results: null text is empty text; further columns, whatever their names, are left out; rows that
+repeat an id are rows of their own, so rows of equal id and text are the same document and stay or go
+together, and a row whose id survives in another row's group stays; a null id survives a group only
+where it is alone; documents without words are never near copies; an empty table gives an empty result.
+Folders between stages lie in the shared folder; storage.tidy removes them.
 """
 
 from __future__ import annotations
