@@ -182,7 +182,7 @@ def timed(make: Callable[[], DataFrame], repeat: int = 3, cap: float = CAP) -> d
 
         def stop():
             late.set()
-            context.cancelJobGroupAndFutureJobs(group)
+            context.cancelJobGroup(group)
 
         timer = threading.Timer(cap, stop)
         context.setJobGroup(group, "timed run", interruptOnCancel=True)
