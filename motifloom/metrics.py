@@ -177,14 +177,16 @@ def timed(make: Callable[[], DataFrame], repeat: int = 3, cap: float = CAP) -> d
     """
     seconds, status, value = [], "finished", None
     for _ in range(repeat):
-        group, late = f"timed-{uuid.uuid4().hex}", threading.Event()
+        group, late, over = f"timed-{uuid.uuid4().hex}", threading.Event(), threading.Event()
         context = SparkSession.getActiveSession().sparkContext
 
-        def stop():
-            late.set()
-            context.cancelJobGroup(group)
+        def watch():
+            if not over.wait(cap):
+                late.set()
+                while not over.wait(0.5):  # again and again, as a run may still be planning or start more jobs
+                    context.cancelJobGroup(group)
 
-        timer = threading.Timer(cap, stop)
+        timer = threading.Thread(target=watch, daemon=True)
         context.setJobGroup(group, "timed run", interruptOnCancel=True)
         began = time.perf_counter()
         timer.start()
@@ -195,7 +197,7 @@ def timed(make: Callable[[], DataFrame], repeat: int = 3, cap: float = CAP) -> d
         except Exception as e:  # noqa: BLE001 - an experiment records how a run ends
             status = "over time" if late.is_set() else "out of memory" if out_of_memory(e) else "failed"
         finally:
-            timer.cancel()
+            over.set()
             context.setLocalProperty("spark.jobGroup.id", None)
         if status != "finished":
             break
