@@ -116,6 +116,14 @@ def test_runs_are_cancelled_at_the_cap(spark):
     assert metrics.completion_rate([run, good]) == 0.5
 
 
+def test_experiments_prepare_the_index_and_rate_only_strategies_that_ran(dense):
+    dense._kept.pop(("tri", False), None)
+    experiments.prepare(dense, catalogue.unlabelled("q2"), {"triangle_index": "full"})
+    assert ("tri", False) in dense._kept
+    rows = [{"experiment": "simple patterns", "method": "growth", "status": s} for s in ("finished", "over time")]
+    assert experiments.completion(rows + [{"experiment": "switches", "method": "binary", "status": "finished"}]) == {"growth": 0.5}
+
+
 def test_follow_knows_the_graph_after_a_restart(spark, tmp_path):
     path, seen = str(tmp_path / "edges"), []
     parts = [[(1, 2), (2, 3)], [(1, 3), (3, 4)], [(2, 4), (1, 4)]]
