@@ -7,7 +7,7 @@ import time
 import pytest
 from pyspark.sql import functions as F
 
-from motifloom import api, metrics, storage
+from motifloom import api, experiments, metrics, storage
 from motifloom.operators import batching, binary, compress, partition, wco
 from motifloom.operators.batching import BatchSpec
 from motifloom.operators.graph import from_lists, normalise
