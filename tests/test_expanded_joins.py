@@ -27,3 +27,10 @@ def test_join_units_meet_by_merge(spark, pattern, options):
     rows = api.match(g, q, "binary", **options)
     assert joins(rows) == ["SortMergeJoin"]
     assert rows.count() == api.match(g, q, "growth").count() > 0
+
+
+def test_tagged_copies_meet_by_merge(spark):
+    g, q = from_lists(spark, EDGES), catalogue.unlabelled("q2")
+    rows = api.match(g, q, "hypercube", cells=16, dedupe="tagged")
+    assert joins(rows) == ["SortMergeJoin"]
+    assert rows.count() == api.match(g, q, "growth").count() > 0
