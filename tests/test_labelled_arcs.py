@@ -1,5 +1,7 @@
 """Arcs carry the labels that edges are stored with: no join, and so no shuffle of all arcs, brings them."""
 
+import os
+
 import pytest
 
 from motifloom.operators import graph
@@ -22,3 +24,11 @@ def test_arcs_have_the_labels_of_their_ends(spark, monkeypatch, directed, relabe
     assert sorted(got) == sorted((a, b, LABELS[a], LABELS[b]) for a, b in want)
     assert g.edges.columns == ["src", "dst", "elabel"]
     assert directed or not g.edges.where("src >= dst").count()
+
+
+def test_executors_read_a_mounted_folder_where_it_is(spark):
+    """No executor keeps copies of the files beside the arrays that it builds."""
+    from motifloom.operators import replicate
+
+    token, names, labelled = replicate.replica(from_lists(spark, EDGES, LABELS))
+    assert labelled and names and all(replicate._place(n) == n and os.path.exists(n) for n in names)
