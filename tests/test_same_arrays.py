@@ -3,6 +3,7 @@
 import pytest
 
 from motifloom import api
+from motifloom.operators import growth
 from motifloom.operators.graph import from_lists
 from motifloom.plans import catalogue
 from motifloom.plans.pattern import QueryGraph
@@ -28,3 +29,15 @@ def test_taken_arrays_expand_to_the_same_rows(spark, pattern):
         want = api.match(g, q, "replicated", symmetry=symmetry)
         got = api.match(g, q, "growth", compression=True, symmetry=symmetry)
         assert api.match(g, q, "growth", compression=True, symmetry=symmetry, output="count").first()[0] == want.count() == got.count() == got.distinct().count()
+
+
+@pytest.mark.parametrize("pattern", ["q2", "q3", "q4"])
+def test_counts_run_in_batches_when_lists_are_large(spark, monkeypatch, pattern):
+    g, q = from_lists(spark, EDGES), catalogue.unlabelled(pattern)
+    whole = api.match(g, q, "growth", compression=True, output="count").first()[0]
+    monkeypatch.setattr(growth, "LIST_BYTES", 1)
+    monkeypatch.setattr(growth, "MOST_BATCHES", 3)
+    asked = []
+    monkeypatch.setattr(api, "_in_batches", lambda g, counted, b, spec, run=api._in_batches: asked.append(b) or run(g, counted, b, spec))
+    assert api.match(g, q, "growth", compression=True, output="count").first()[0] == whole > 0
+    assert 1 < asked[0] <= 3
